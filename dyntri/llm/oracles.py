@@ -1,3 +1,65 @@
 """DuckDB SQL of the queries that SQL can express."""
 
-SQL: dict[str, str] = {}
+_WORDS = r"regexp_extract_all({}, '[^\x20\x09-\x0D]+')"
+
+#: Measures by unnested windows; the host prior and verdicts as in the operator.
+OP4 = rf"""
+WITH d AS (
+  SELECT row_number() OVER () AS r, doc_id, source, coalesce(text, '') AS t FROM documents
+), w AS (
+  SELECT *, {_WORDS.format("t")} AS w, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d
+), g AS (
+  SELECT r, i, list_slice(w, i, i + 4) AS g FROM w, unnest(range(1, len(w) - 3)) AS u(i) WHERE len(w) >= 5
+), twice AS (
+  SELECT r, i FROM (SELECT r, i, count(*) OVER (PARTITION BY r, g) AS n FROM g) WHERE n > 1
+), covered AS (
+  SELECT r, count(DISTINCT i + k) AS n FROM twice, unnest(range(5)) AS u(k) GROUP BY r
+), m AS (
+  SELECT w.r, doc_id, source, len(w) AS n_words, length(regexp_replace(t, '[\x20\x09-\x0D]', '', 'g')) AS word_chars,
+    length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS n_symbols, len(l) - len(list_distinct(l)) AS n_dup_lines,
+    coalesce(n, 0) AS n_repeat_words, len(l) AS n_lines, length(t) AS n_chars, length(t) - length(regexp_replace(t, '[A-Z]', '', 'g')) AS capitals
+  FROM w LEFT JOIN covered ON covered.r = w.r
+), s AS (
+  SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed,
+    greatest(n_symbols / greatest(n_words, 1) / 0.2, n_dup_lines / greatest(n_lines, 1) / 0.5, capitals / greatest(n_chars, 1) / 0.4, word_chars / greatest(n_words, 1) / 15.0) AS severity
+  FROM m
+), h AS (
+  SELECT source, count(*) AS n, sum(CASE WHEN base_failed OR severity > 1 THEN 1 ELSE 0 END)::BIGINT AS bad FROM s GROUP BY source
+), prior AS (
+  SELECT m, CASE WHEN v > 0 THEN greatest(1.0, least(10000.0, m * (1 - m) / v - 1)) ELSE 10000.0 END AS k
+  FROM (SELECT avg(bad / n) AS m, var_pop(bad / n) AS v FROM h)
+), verdict AS (
+  SELECT source, (bad + m * k) / (n + k) AS rate FROM h, prior
+)
+SELECT doc_id, n_words::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines,
+  n_repeat_words::BIGINT AS n_repeat_words, base_failed,
+  NOT base_failed AND severity <= CASE WHEN rate >= 0.5 THEN 0.75 WHEN rate >= 0.05 THEN 1.0 ELSE 2.0 END AS kept
+FROM s JOIN verdict ON s.source IS NOT DISTINCT FROM verdict.source
+"""
+
+#: Every window of every item joined to every window of every document.
+OP10 = r"""
+WITH d AS (
+  SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents
+), b AS (
+  SELECT coalesce(item_id::VARCHAR, 'null') AS item, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark
+), p AS (
+  SELECT DISTINCT item, least(10, len(w)) AS k, list_slice(w, i, i + least(10, len(w)) - 1) AS g
+  FROM b, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS u(i) WHERE len(w) > 0
+), sizes AS (
+  SELECT DISTINCT k FROM p
+), g AS (
+  SELECT r, k, i, list_slice(w, i, i + k - 1) AS g FROM d, sizes, unnest(range(1, len(w) - k + 2)) AS u(i) WHERE len(w) >= k
+), hits AS (
+  SELECT r, g.k, i, item FROM g JOIN p ON p.k = g.k AND p.g = g.g
+), words AS (
+  SELECT r, count(DISTINCT i + j) AS n FROM hits, unnest(range(k)) AS u(j) GROUP BY r
+), items AS (
+  SELECT r, count(*) AS n, string_agg(item, ',' ORDER BY item COLLATE "C") AS ids FROM (SELECT DISTINCT r, item FROM hits) GROUP BY r
+)
+SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(words.n, 0)::BIGINT AS n_hit, coalesce(items.n, 0)::BIGINT AS n_items,
+  sha256(coalesce(ids, '')) AS items_sha256, coalesce(words.n, 0) > 0 AS contaminated
+FROM d LEFT JOIN words ON words.r = d.r LEFT JOIN items ON items.r = d.r
+"""
+
+SQL: dict[str, str] = {"op4_quality_rules": OP4, "op10_decontamination": OP10.replace(' COLLATE "C"', "")}

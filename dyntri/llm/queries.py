@@ -13,6 +13,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import quality
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    rows = storage.saved(quality.measured(docs).drop("text"), "measured")
+    found = quality.judged(rows, storage.saved(quality.host_verdicts(rows), "hosts"))
+    return found.select("doc_id", *[f"_q.{c}" for c in quality.MEASURES], "_q.base_failed", found["_kept"].alias("kept"))
+
+
 def op6_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import mixing
 
