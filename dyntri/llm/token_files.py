@@ -215,7 +215,7 @@ class WordTokenizer:
     """
 
     #: Words kept before the memory starts anew, so it stays bounded (two of them meet in one hash with odds of 1e-7).
-    KEPT = 1_500_000
+    KEPT = 700_000
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
