@@ -97,7 +97,7 @@ def shingle_hashes(words: np.ndarray, size: int) -> np.ndarray:
         return words
     size = min(size, len(words))
     n = len(words) - size + 1
-    total = np.full(n, np.uint64(size) * _STEP)
+    total = np.full(n, np.uint64(size * int(_STEP) % (1 << 64)))
     for k in range(size):
         total += words[k : k + n] * _AT[k]
     return mixed(total)
