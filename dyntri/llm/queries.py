@@ -36,6 +36,15 @@ def op2_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.join_components(table(spark, sf_dir, "documents"), size=4, percent=85)
 
 
+def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import warc
+
+    archives, index = storage.fresh_path(spark, "archives"), storage.fresh_path(spark, "capture_index")
+    warc.write_archives(table(spark, sf_dir, "pages"), archives, min_bytes=0)
+    warc.write_index(spark, archives, index)
+    return warc.read_captures(spark, archives, index).drop("payload", "url")
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import quality
 

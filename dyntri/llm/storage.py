@@ -49,13 +49,13 @@ def saved(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def write_blobs(df: DataFrame, column: str, path: str) -> None:
-    """One file per task: the bytes of ``column``, each value followed by one NUL byte.
+def write_blobs(df: DataFrame, column: str, path: str, per_file: int = 0) -> None:
+    """One file per task: the bytes of ``column``, each value followed by one NUL byte; per_file: values in a file at most.
 
     Spark's text sink copies a string's bytes as they are, so binary formats go through its committer and any
     Hadoop file system without Python touching a file.
     """
-    df.select(F.col(column).cast("string").alias("value")).write.option("lineSep", "\u0000").text(path)
+    df.select(F.col(column).cast("string").alias("value")).write.option("lineSep", "\u0000").option("maxRecordsPerFile", per_file).text(path)
 
 
 def read_blobs(spark: SparkSession, path: str) -> DataFrame:
