@@ -11,6 +11,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import storage
+
 BLANK = " \t\n\x0b\f\r"
 SYMBOLS = "#*$%&|<>"
 WINDOW = 5
@@ -29,7 +31,8 @@ def _less(text: Column, characters: str) -> Column:
 
 
 def measured(docs: DataFrame) -> DataFrame:
-    """docs with ``_q``, a struct of the measures and severity; no shuffle.
+    """docs with ``_q``, a struct of the measures and severity; no shuffle. Write it before filtering or grouping by
+    ``_q``: the optimizer would else copy its expressions into each use.
 
     docs: text, source, any further columns. Words are runs of anything but space and \\x09-\\x0D; a null text has
     none. Windows are told apart by 64-bit hashes.
@@ -100,6 +103,15 @@ def judged(rows: DataFrame, hosts: DataFrame) -> DataFrame:
     return joined.withColumn("_kept", ~F.col("_q.base_failed") & (F.col("_q.severity") <= F.coalesce(F.col("_allowed"), F.lit(1.0)))).drop("_host", "_allowed")
 
 
-def kept_rows(docs: DataFrame, hosts: DataFrame) -> DataFrame:
-    """docs without the rejected rows, with docs' columns; texts are measured again rather than shuffled."""
-    return judged(measured(docs), hosts).where("_kept").select(*docs.columns)
+def kept_rows(docs: DataFrame) -> DataFrame:
+    """docs without the rejected rows, with docs' columns.
+
+    Measures are written once, without texts, under a 128-bit key of the row's id, source and text; rejected keys
+    are then taken away from docs, which are shuffled once by key.
+    """
+    parts = [F.col("doc_id").isNull(), F.col("doc_id"), F.col("source").isNull(), F.col("source"), F.col("text").isNull(), F.col("text")]
+    keys = [F.xxhash64(F.lit(seed), *parts).alias(f"_key{seed}") for seed in (1, 2)]
+    rows = storage.saved(measured(docs.select("source", "text", *keys)).drop("text"), "measured")
+    found = judged(rows, storage.saved(host_verdicts(rows), "hosts"))
+    rejected = found.where(~F.col("_kept")).select("_key1", "_key2").distinct()
+    return docs.select(*docs.columns, *keys).join(rejected, ["_key1", "_key2"], "left_anti").select(*docs.columns)
