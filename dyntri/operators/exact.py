@@ -78,7 +78,7 @@ def transitivity(edges: DataFrame) -> DataFrame:
     """(triangles, wedges, transitivity)."""
     rows = degrees(edges).join(exact_local(edges), "node")
     sums = rows.agg((F.sum("triangles") / 3).cast("long").alias("triangles"), F.sum((F.col("degree") * (F.col("degree") - 1) / 2).cast("long")).alias("wedges"))
-    return sums.withColumn("transitivity", F.round(3 * F.col("triangles") / F.col("wedges"), 6))
+    return sums.withColumn("transitivity", F.round(F.when(F.col("wedges") > 0, 3 * F.col("triangles") / F.col("wedges")), 6))
 
 
 def top_local(edges: DataFrame, n: int) -> DataFrame:

@@ -40,7 +40,9 @@ def mean_local_error(truth: DataFrame, local: DataFrame, runs: int) -> DataFrame
 
 def pearson_local(truth: DataFrame, local: DataFrame, runs: int) -> DataFrame:
     """(pearson): mean over runs of the correlation between exact and estimated vertex counts; null if one is constant."""
-    return _vertices(truth, local, runs).groupBy("run").agg(F.corr("x", "e").alias("r")).agg(F.avg(F.when(~F.isnan("r"), F.col("r"))).alias("pearson"))
+    rows = _vertices(truth, local, runs).groupBy("run").agg(F.covar_pop("x", "e").alias("c"), F.stddev_pop("x").alias("sx"), F.stddev_pop("e").alias("se"))
+    spread = F.col("sx") * F.col("se")
+    return rows.agg(F.avg(F.when(spread > 0, F.col("c") / spread)).alias("pearson"))
 
 
 def improvement(table: DataFrame, baseline: str, method: str, measure: str, cell: list[str]) -> DataFrame:
