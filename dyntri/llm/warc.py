@@ -30,6 +30,8 @@ BLOCK_LINES = 3000
 FILE_BYTES = 16_000_000
 #: Directory rows that a look-up may collect: one stands for BLOCK_LINES captures.
 DIRECTORY_ROWS = 1_000_000
+#: Byte ranges, 16 bytes each, that may be sent to all executors.
+SENT_RANGES = 2_000_000
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 SPACE_OF_IDS = uuid.UUID("6f2b8d0e-3c57-4d0f-9a3e-5b1f3f0c7a11")
 
@@ -260,9 +262,11 @@ def read_captures(spark: SparkSession, archives: str, index: str) -> DataFrame:
                 rows = [json.loads(x.split("\t", 1)[1]) for _, _, data in members(content.as_buffer().to_pybytes()) for x in data.decode().splitlines()]
                 yield pa.RecordBatch.from_pylist([{k: r[k] for k in ("file", "offset", "length")} for r in rows], pa.schema([("file", pa.string()), ("offset", pa.int64()), ("length", pa.int64())]))
 
-    wanted = storage.read_blobs(spark, f"{index}/blocks").select("content").mapInArrow(ranges, lines)
+    wanted = storage.saved(storage.read_blobs(spark, f"{index}/blocks").select("content").mapInArrow(ranges, lines), "ranges")
     # a file's ranges are as many as its records, which its size bounds
     by_file = wanted.groupBy("file").agg(F.collect_list(F.struct("offset", "length")).alias("ranges"))
+    if wanted.count() <= SENT_RANGES:  # then files stay where they are read; beyond it they meet their ranges in a shuffle
+        by_file = F.broadcast(by_file)
     found = storage.read_blobs(spark, archives).join(by_file, F.col("path") == F.col("file")).select("content", "ranges")
     schema = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
     kinds = [pa.int64(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.binary()]
