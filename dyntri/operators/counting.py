@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import shard_of
 from .routing import counting_shard, hashed
+from .streams import BUCKET
 
 
 def closing_hits(events: DataFrame, residency: DataFrame, n_shards: int, seed: int = 42) -> DataFrame:
@@ -33,13 +34,17 @@ def closing_hits(events: DataFrame, residency: DataFrame, n_shards: int, seed: i
 def as_of(hits: DataFrame, steps: DataFrame, value: str) -> DataFrame:
     """hits with ``value`` of the last step of their shard that came strictly earlier (0 if none did).
 
-    steps: shard, seq, value. A union and a last-value window by shard, over distinct hit places only.
+    steps: shard, seq, value. A union and a last-value window over distinct hit places only, in buckets of seq; only a
+    row per bucket meets in the window that carries the last value on.
     """
     places = hits.select("shard", "seq").distinct().select("shard", "seq", F.lit(0).alias("_step"), F.lit(None).cast("long").alias(value))
-    all_ = places.unionByName(steps.select("shard", "seq", F.lit(1).alias("_step"), F.col(value).cast("long").alias(value)))
-    before = Window.partitionBy("shard").orderBy("seq", "_step").rowsBetween(Window.unboundedPreceding, 0)
-    known = all_.withColumn("_last", F.coalesce(F.last(value, ignorenulls=True).over(before), F.lit(0))).where("_step = 0").select("shard", "seq", F.col("_last").alias(value))
-    return hits.join(known, ["shard", "seq"])
+    all_ = places.unionByName(steps.select("shard", "seq", F.lit(1).alias("_step"), F.col(value).cast("long").alias(value))).withColumn("_bucket", F.floor(F.col("seq") / BUCKET))
+    ends = all_.groupBy("shard", "_bucket").agg(F.max(F.when(F.col("_step") == 1, F.struct("seq", value)))[value].alias("_end"))
+    earlier = Window.partitionBy("shard").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
+    ends = ends.select("shard", "_bucket", F.last("_end", ignorenulls=True).over(earlier).alias("_carried"))
+    before = Window.partitionBy("shard", "_bucket").orderBy("seq", "_step").rowsBetween(Window.unboundedPreceding, 0)
+    known = all_.withColumn("_last", F.last(value, ignorenulls=True).over(before)).where("_step = 0").join(ends, ["shard", "_bucket"])
+    return hits.join(known.select("shard", "seq", F.coalesce("_last", "_carried", F.lit(0)).alias(value)), ["shard", "seq"])
 
 
 def global_estimate(hits: DataFrame, den: float, runs: int) -> DataFrame:

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import draw_key
 from ..sources.shared import cut
-from .streams import number_within
+from .streams import number_within, running
 
 #: Arrivals that one task of the first sampling step sees.
 CHUNK = 1 << 17
@@ -82,19 +82,20 @@ def assign_slots(stored: DataFrame, pairing: str = "queue", seed: int = 42) -> D
     """(shard, u, v, ins_seq, del_seq, slot, fresh): the slot that each storable insertion takes.
 
     stored: shard, seq, u, v, sign. A deletion vacates its edge's slot; an insertion takes a vacant one if there is one, else it
-    opens the next. queue: first vacated, first filled, by windows and pointer doubling. random: a uniform vacancy, by
+    opens the next. queue: first vacated, first filled, by bucketed running sums and pointer doubling. random: a uniform vacancy, by
     a kernel for each shard.
     """
     nxt = F.lead("seq").over(Window.partitionBy("shard", "u", "v").orderBy("seq"))
     rows = stored.select("shard", "seq", "u", "v", "sign", F.when(F.col("sign") == 1, nxt).alias("del_seq"))
     if pairing == "random":
         return rows.groupBy("shard").applyInPandas(lambda f: _random_slots(f, seed), "shard int, u long, v long, ins_seq long, del_seq long, slot long, fresh boolean")
-    order = Window.partitionBy("shard").orderBy("seq")
-    upto = order.rowsBetween(Window.unboundedPreceding, 0)
-    rows = rows.withColumn("w", F.sum(-F.col("sign").cast("long")).over(upto))
-    earlier = F.coalesce(F.min("w").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    rows = rows.withColumn("fresh", (F.col("sign") == 1) & (F.col("w") < F.least(F.lit(0), earlier)))
-    rows = cut(rows.withColumns({"slot": F.when(F.col("fresh"), -F.col("w")), "reused": F.sum(((F.col("sign") == 1) & ~F.col("fresh")).cast("long")).over(upto), "vacated": F.sum((F.col("sign") == -1).cast("long")).over(upto)}))
+    sign = F.col("sign").cast("long")
+    rows = cut(running(rows, ["shard"], "seq", {"w": -sign, "vacated": (sign == -1).cast("long"), "filled": (sign == 1).cast("long")}))
+    rows = running(rows, ["shard"], "seq", {}, {"earlier": F.col("w")})
+    lowest = F.least(F.lit(0), F.coalesce("earlier", F.lit(0)))
+    fresh = (F.col("sign") == 1) & (F.col("w") < lowest)
+    # a new minimum of w opens a slot, so as many are open as w has been below 0; the other insertions reuse one
+    rows = cut(rows.select("shard", "seq", "u", "v", "sign", "del_seq", "vacated", fresh.alias("fresh"), F.when(fresh, -F.col("w")).alias("slot"), (F.col("filled") + F.least(lowest, F.col("w"))).alias("reused")))
     inserts = rows.where("sign = 1")
     # the j-th insertion that reuses a slot takes that of the j-th deletion, hence of the edge which that ended
     ended = rows.where("sign = 1 and del_seq is not null").select("shard", F.col("del_seq").alias("at"), F.col("seq").alias("parent"))

@@ -41,15 +41,27 @@ def stream(edges: DataFrame, order: list[str]) -> DataFrame:
     return rows.select("seq", ts.alias("ts"), F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v"), F.lit(1).cast("byte").alias("sign"))
 
 
-def number_within(df: DataFrame, keys: list[str], order: str, name: str, value: Column | None = None) -> DataFrame:
-    """Adds the running sum of ``value`` (1: a number from 1) within keys by ``order``, in buckets of its range."""
-    value = F.lit(1) if value is None else value
-    held = df.withColumn("_bucket", F.floor(F.col(order) / BUCKET)).withColumn("_value", value)
-    totals = held.groupBy(*keys, "_bucket").agg(F.sum("_value").alias("_total"))
+def running(df: DataFrame, keys: list[str], order: str, sums: dict[str, Column], lows: dict[str, Column] | None = None) -> DataFrame:
+    """Adds running sums up to each row, and minima over strictly earlier rows (null at a key's first), within keys by ``order``.
+
+    Rows meet in buckets of the order's range; only a row per bucket meets in the window that carries them on.
+    """
+    lows = lows or {}
+    held = df.withColumns({"_bucket": F.floor(F.col(order) / BUCKET), **{f"_v_{n}": v for n, v in {**sums, **lows}.items()}})
+    ends = held.groupBy(*keys, "_bucket").agg(*[F.sum(f"_v_{n}").alias(f"_e_{n}") for n in sums], *[F.min(f"_v_{n}").alias(f"_e_{n}") for n in lows])
     before = Window.partitionBy(*keys).orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
-    totals = totals.select(*keys, "_bucket", F.coalesce(F.sum("_total").over(before), F.lit(0)).alias("_before"))
+    carried = [F.coalesce(F.sum(f"_e_{n}").over(before), F.lit(0)).alias(f"_c_{n}") for n in sums] + [F.min(f"_e_{n}").over(before).alias(f"_c_{n}") for n in lows]
     inside = Window.partitionBy(*keys, "_bucket").orderBy(order).rowsBetween(Window.unboundedPreceding, 0)
-    return held.withColumn("_inside", F.sum("_value").over(inside)).join(totals, [*keys, "_bucket"]).withColumn(name, F.col("_inside") + F.col("_before")).drop("_bucket", "_value", "_inside", "_before")
+    earlier = Window.partitionBy(*keys, "_bucket").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
+    rows = held.withColumns({**{f"_i_{n}": F.sum(f"_v_{n}").over(inside) for n in sums}, **{f"_i_{n}": F.min(f"_v_{n}").over(earlier) for n in lows}})
+    rows = rows.join(ends.select(*keys, "_bucket", *carried), [*keys, "_bucket"])
+    rows = rows.withColumns({**{n: F.col(f"_i_{n}") + F.col(f"_c_{n}") for n in sums}, **{n: F.least(f"_i_{n}", f"_c_{n}") for n in lows}})
+    return rows.drop("_bucket", *[f"_{x}_{n}" for x in "vic" for n in {**sums, **lows}])
+
+
+def number_within(df: DataFrame, keys: list[str], order: str, name: str, value: Column | None = None) -> DataFrame:
+    """Adds the running sum of ``value`` (1: a number from 1) within keys by ``order``."""
+    return running(df, keys, order, {name: F.lit(1) if value is None else value})
 
 
 def validated(signed: DataFrame) -> tuple[DataFrame, DataFrame]:

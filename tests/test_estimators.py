@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from dyntri import queries
 from dyntri.functions.weights import seal_point
-from dyntri.operators import exact, replay, routing
+from dyntri.operators import counting, exact, replay, routing, sampling, streams
 from dyntri.operators.streams import canonical_edges, live_edges, validated, with_deletions
 from dyntri.plans import methods
 from dyntri.sources import graphs
@@ -144,6 +144,22 @@ def test_deletions(spark):
     assert peak <= 30
 
 
+@pytest.mark.parametrize("size", [1, 50])
+def test_results_do_not_depend_on_bucket_size(spark, monkeypatch, size):
+    """Running sums, minima and as-of values are carried from bucket to bucket."""
+    signed = cut(with_deletions(graphs.page_links(spark, SF), 0.4))
+
+    def results():
+        slots = sampling.assign_slots(routing.route_store(signed, 2))
+        hits = methods.dynamic_triangles(signed, 2, 40).hits
+        return sorted(map(tuple, slots.collect()), key=str), sorted(map(tuple, hits.collect()), key=str)
+
+    whole = results()
+    monkeypatch.setattr(streams, "BUCKET", size)
+    monkeypatch.setattr(counting, "BUCKET", size)
+    assert results() == whole
+
+
 def test_insertions_only_dynamic_equals_sharded(spark):
     events = cut(graphs.page_links(spark, SF))
     a = methods.dynamic_triangles(events, 1, 10**6).global_.first().est
