@@ -10,11 +10,13 @@ from pyspark.sql import functions as F
 
 from . import oracles as sql
 from .functions.weights import seal_point
-from .operators import exact, measures, replay, routing, sampling
+from .operators import exact, measures, relations, replay, routing, sampling
 from .operators.streams import live_edges, validated, with_deletions
-from .plans import methods, workloads
+from .plans import methods, sql_surface, workloads
 from .sources import graphs
-from .sources.shared import cut
+from .sources.live import file_edges, latest, latest_sink
+from .sources.shared import cut, fresh_folder
+from .streaming import live
 
 Query = Callable[[SparkSession, str], DataFrame]
 SHARDS, RUNS, K, FLOOR, DELTA, Q = 3, 2, 60, 0.2, 0.2, 0.2
@@ -131,7 +133,31 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("metrics_bias", on(SMALL, lambda e: measures.bias_report(exact.exact_global(e), methods.solo_coin_triangles(e, Q, runs=8).global_)))
     add("ratio_profile", on(SMALL, lambda e: measures.ratio_profile(adaptive(e).residency, routing.route_store(e, SHARDS))))
     add("capabilities", lambda spark, d: methods.capabilities(spark))
+    # relational views
+    g = "customer_overlap"
+    sides = "SELECT a AS u, b AS v FROM t UNION SELECT b, c FROM t UNION SELECT a, c FROM t"
+    add("closed_edges", on(g, relations.closed_edges), f"{sql.with_(g, sql._TRIANGLES)} {sides}")
+    add("open_edges", on(g, relations.open_edges), f"{sql.with_(g, sql._TRIANGLES)} SELECT u, v FROM e EXCEPT ({sides})")
+    add("closed_nodes", on(g, relations.closed_nodes), f"{sql.with_(g, sql._TRIANGLES)} SELECT DISTINCT unnest([a, b, c]) AS node FROM t")
+    add("induced_subgraph", _building, f"{sql.with_(g)} SELECT seq, u, v FROM e WHERE u IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING') AND v IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING')")
+    add("degree_histogram", on(g, relations.degree_histogram), f"{sql.with_(g, sql._NODES)} SELECT degree, count(*) AS nodes FROM nd GROUP BY 1")
+    add("mean_clustering", on(g, relations.mean_clustering), f"{sql.with_(g, sql._LOCAL)} SELECT round(avg(CASE WHEN degree > 1 THEN round(2 * triangles / (degree * (degree - 1)), 6) ELSE 0.0 END), 4) AS coefficient FROM x")
+    add("edges_by_date", on(g, relations.edges_by_date), f"{sql.with_(g)} SELECT year(ts)::INT AS year, month(ts)::INT AS month, count(*) AS edges FROM p GROUP BY ROLLUP (year(ts)::INT, month(ts)::INT)")
+    add("edge_rates_daily", on("user_handoff", lambda e: live.edge_rates(e, "1 day").select(F.date_format("start", "yyyy-MM-dd").alias("day"), "edges")), f"{sql.with_('user_handoff')} SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS edges FROM p GROUP BY 1")
+    half = sql.with_(SIGNED, sql.deletions(DELTA), "half AS (SELECT u, v FROM d WHERE seq < (SELECT count(*) // 2 FROM d) GROUP BY 1, 2 HAVING sum(sign) > 0)", "last AS (SELECT u, v FROM d GROUP BY 1, 2 HAVING sum(sign) > 0)")
+    add("snapshot_kept", signed(lambda s: relations.kept_edges(s, s.count() // 2)), f"{half} SELECT * FROM half INTERSECT SELECT * FROM last")
+    add("snapshot_lost", signed(lambda s: relations.lost_edges(s, s.count() // 2)), f"{half} SELECT * FROM half EXCEPT SELECT * FROM last")
+    text = sql.adaptive(SMALL, SHARDS, K, T_STAR, None, RUNS)
+    add("estimated_transitivity", on(SMALL, lambda e: relations.estimated_transitivity(e, adaptive(e).global_)), f"SELECT run, round(3 * est / w, 6) AS transitivity FROM ({text}), ({sql.with_(SMALL, sql._NODES)} SELECT sum(degree * (degree - 1) // 2) AS w FROM nd)")
+    text = sql.adaptive(SMALL, SHARDS, K, T_STAR, None, RUNS, True)
+    add("top_estimated", on(SMALL, lambda e: relations.top_estimated(adaptive(e).local_, 20)), f"SELECT node, est FROM ({text}) WHERE run = 0 ORDER BY est DESC, node LIMIT 20")
+    # other surfaces of the estimators
+    text = sql.adaptive(SMALL, SHARDS, K, T_STAR, None, 1)
+    add("sql_adaptive_global", on(SMALL, lambda e: sql_surface.adaptive_by_sql(e, SHARDS, K, FLOOR)), text)
+    add("stream_adaptive_global", on(SMALL, lambda e: _streamed(e, lambda s: live.adaptive_stream(s, SHARDS, K, FLOOR), K * K * (K - 1))), f"SELECT est FROM ({text})")
+    add("stream_dynamic_ample", signed(lambda s: _streamed(s, lambda x: live.dynamic_stream(x, SHARDS, 10**6), 10**6 * (10**6 - 1))), f"{sql.with_(SIGNED, sql.deletions(DELTA), sql._LIVES)} SELECT count(*) FILTER (died IS NULL)::DOUBLE AS est FROM lv")
     # experiments
+    add("w1_improvement", on("customer_overlap", lambda e: measures.improvement(workloads.accuracy(e, "customer_overlap", shares=(0.05,), runs=3, local=False), "solo_coin", "adaptive", "mge", ["graph", "setting"])))
     add("w1_accuracy", on("customer_overlap", lambda e: workloads.accuracy(e, "customer_overlap", shares=(0.01, 0.05), runs=3)))
     add("w2_speed", on("customer_overlap", lambda e: workloads.speed(e, "customer_overlap", share=0.01)))
     add("w3_floor", on("customer_overlap", lambda e: workloads.floors(e, "customer_overlap", shares=(0.005,), runs=3)))
@@ -142,6 +168,24 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     return out
 
 
+def _building(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The co-purchase graph of one market segment's customers."""
+    some = graphs.read_table(spark, sf_dir, "customer").where("c_mktsegment = 'BUILDING'").select(F.col("c_custkey").alias("node"))
+    return relations.induced(_graph(spark, sf_dir, "customer_overlap").select("seq", "u", "v"), some)
+
+
+def _streamed(events: DataFrame, estimator: Callable[[DataFrame], DataFrame], den: int, arrivals: int = 3) -> DataFrame:
+    """(est) of a live estimator that gets the events in several arrivals, by way of files and a sink in the shared folder."""
+    spark, folder = events.sparkSession, fresh_folder(events.sparkSession, "live")
+    n = events.count()
+    for i in range(arrivals):
+        own = events.where((F.col("seq") >= n * i // arrivals) & (F.col("seq") < n * (i + 1) // arrivals))
+        own.select("seq", "ts", "u", "v", "sign").coalesce(1).write.mode("append").parquet(f"{folder}/in")
+    rows = estimator(file_edges(spark, f"{folder}/in"))
+    rows.writeStream.outputMode("update").foreachBatch(latest_sink(f"{folder}/out")).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    return live.collected(latest(spark, f"{folder}/out", ["shard"]), den)
+
+
 def _replayed(events: DataFrame) -> DataFrame:
     """(relational, replayed, differing): hits of the plan, of the state machines, and in one of them only."""
     cols = ["shard", "seq", "u", "v", "c", "kind", "num"]

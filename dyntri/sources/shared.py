@@ -3,13 +3,27 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """``df`` checkpointed to ``spark.checkpoint.dir``; only where none is set (tests) to a temporary folder."""
-    context = df.sparkSession.sparkContext
-    if not (context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()):
+def _shared(spark: SparkSession) -> str:
+    """The folder that driver and executors share; a temporary one only where none is set (tests)."""
+    context = spark.sparkContext
+    own = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
+    if not own:
         context.setCheckpointDir(tempfile.mkdtemp(prefix="dyntri-"))
+        own = context.getCheckpointDir()
+    return own
+
+
+def fresh_folder(spark: SparkSession, name: str) -> str:
+    """A new path in the shared folder."""
+    return f"{_shared(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """``df`` checkpointed to ``spark.checkpoint.dir``."""
+    _shared(df.sparkSession)
     return df.checkpoint()

@@ -200,7 +200,19 @@ def test_stream_equals_replay(spark, tmp_path):
     assert collected(spark.table("live_shards"), k * k * (k - 1)).first().est == 455
 
 
-NAMES = ["canonical_page_links", "exact_local_customer_overlap", "adaptive_global", "sharded_local", "dynamic_global", "coin_global", "metrics_mge"]
+def test_sink_repeats_a_batch_without_doubling_it(spark, tmp_path):
+    from dyntri.sources.live import latest, latest_sink, parsed
+
+    sink = latest_sink(str(tmp_path / "out"))
+    for batch, num in ((0, "1"), (1, "2"), (1, "2")):
+        sink(spark.createDataFrame([(0, num)], "shard int, num string"), batch)
+    assert [tuple(r) for r in latest(spark, str(tmp_path / "out"), ["shard"]).collect()] == [(0, "2")]
+    raw = spark.createDataFrame([('{"seq": 1, "u": 2, "v": 3, "sign": -1}',), ("no event",), (None,)], "value string")
+    assert [tuple(r) for r in parsed(raw).collect()] == [(1, None, 2, 3, -1)]
+
+
+NAMES = ["canonical_page_links", "exact_local_customer_overlap", "adaptive_global", "sharded_local", "dynamic_global", "coin_global", "metrics_mge",
+         "open_edges", "snapshot_lost", "edges_by_date", "estimated_transitivity", "sql_adaptive_global", "stream_adaptive_global"]
 
 
 @pytest.mark.parametrize("name", NAMES)
