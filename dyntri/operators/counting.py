@@ -18,17 +18,19 @@ def closing_hits(events: DataFrame, residency: DataFrame, n_shards: int, seed: i
     """
     sides = residency.select("run", "shard", "segment", F.col("u").alias("x"), F.col("v").alias("y"), "enter_seq", "exit_seq")
     both = sides.unionByName(sides.select("run", "shard", "segment", F.col("y").alias("x"), F.col("x").alias("y"), "enter_seq", "exit_seq"))
-    a = both.select("run", "shard", F.col("x").alias("u"), F.col("y").alias("c"), F.col("segment").alias("seg_a"), F.col("enter_seq").alias("in_a"), F.col("exit_seq").alias("out_a"))
+    h_c = shard_of(F.col("y"), n_shards, seed).alias("h_c")
+    a = both.select("run", "shard", F.col("x").alias("u"), F.col("y").alias("c"), F.col("segment").alias("seg_a"), F.col("enter_seq").alias("in_a"), F.col("exit_seq").alias("out_a"), h_c)
     b = both.select("run", "shard", F.col("x").alias("v"), F.col("y").alias("c"), F.col("segment").alias("seg_b"), F.col("enter_seq").alias("in_b"), F.col("exit_seq").alias("out_b"))
 
     def there(i: str, o: str) -> Column:
         return (F.col(i) < F.col("seq")) & (F.col(o).isNull() | (F.col(o) >= F.col("seq")))
 
     rows = hashed(events.select("seq", "u", "v", "sign"), n_shards, seed)
-    first = rows.join(a, "u").where(there("in_a", "out_a") & ((F.col("h_u") != F.col("h_v")) | (F.col("shard") == F.col("h_u"))))
+    # the counting rule needs the apex only, so copies held by other shards go before the second shuffle
+    own = counting_shard(F.col("h_u"), F.col("h_v"), F.col("h_c"))
+    first = rows.join(a, "u").where(there("in_a", "out_a") & (F.col("shard") == own)).select("run", "shard", "seq", "sign", "u", "v", "c", "seg_a")
     met = first.join(b, ["run", "shard", "v", "c"]).where(there("in_b", "out_b"))
-    own = counting_shard(F.col("h_u"), F.col("h_v"), shard_of(F.col("c"), n_shards, seed))
-    return met.where(F.col("shard") == own).select("run", "shard", "seq", "sign", "u", "v", "c", "seg_a", "seg_b")
+    return met.select("run", "shard", "seq", "sign", "u", "v", "c", "seg_a", "seg_b")
 
 
 def as_of(hits: DataFrame, steps: DataFrame, value: str) -> DataFrame:

@@ -87,7 +87,7 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("sharded_local", on(SMALL, lambda e: methods.sharded_triangles(e, SHARDS, K, runs=RUNS).local_), sql.sharded(SMALL, SHARDS, K, RUNS, True))
     add("solo_reservoir_global", on(SMALL, lambda e: methods.solo_reservoir_triangles(e, 4 * K, runs=RUNS).global_), sql.sharded(SMALL, 1, 4 * K, RUNS))
     add("solo_reservoir_local", on(SMALL, lambda e: methods.solo_reservoir_triangles(e, 4 * K, runs=RUNS).local_), sql.sharded(SMALL, 1, 4 * K, RUNS, True))
-    add("replicated_global", on(SMALL, lambda e: methods.replicated_triangles(e, 4, 4 * K)), f"SELECT avg(est) AS est FROM ({sql.sharded(SMALL, 1, 4 * K, 4)})")
+    add("replicated_global", on(SMALL, lambda e: methods.replicated_triangles(e, 4, 4 * K).select(F.round("est", 6).alias("est"))), f"SELECT round(avg(est), 6) AS est FROM ({sql.sharded(SMALL, 1, 4 * K, 4)})")
     add("coin_global", on("customer_overlap", lambda e: methods.solo_coin_triangles(e, Q, runs=RUNS).global_), sql.coin("customer_overlap", Q, RUNS))
     add("coin_local", on("customer_overlap", lambda e: methods.solo_coin_triangles(e, Q, runs=RUNS).local_), sql.coin("customer_overlap", Q, RUNS, True))
     add("coin_conditional", on("customer_overlap", lambda e: methods.solo_coin_triangles(e, Q, runs=RUNS, conditional=True).global_))
