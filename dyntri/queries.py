@@ -137,7 +137,7 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     g = "customer_overlap"
     sides = "SELECT a AS u, b AS v FROM t UNION SELECT b, c FROM t UNION SELECT a, c FROM t"
     add("closed_edges", on(g, relations.closed_edges), f"{sql.with_(g, sql._TRIANGLES)} {sides}")
-    add("open_edges", on(g, relations.open_edges), f"{sql.with_(g, sql._TRIANGLES)} SELECT u, v FROM e EXCEPT ({sides})")
+    add("unclosed_edges", on(g, relations.open_edges), f"{sql.with_(g, sql._TRIANGLES)} SELECT u, v FROM e EXCEPT ({sides})")
     add("closed_nodes", on(g, relations.closed_nodes), f"{sql.with_(g, sql._TRIANGLES)} SELECT DISTINCT unnest([a, b, c]) AS node FROM t")
     add("induced_subgraph", _building, f"{sql.with_(g)} SELECT seq, u, v FROM e WHERE u IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING') AND v IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING')")
     add("degree_histogram", on(g, relations.degree_histogram), f"{sql.with_(g, sql._NODES)} SELECT degree, count(*) AS nodes FROM nd GROUP BY 1")

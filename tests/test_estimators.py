@@ -212,7 +212,7 @@ def test_sink_repeats_a_batch_without_doubling_it(spark, tmp_path):
 
 
 NAMES = ["canonical_page_links", "exact_local_customer_overlap", "adaptive_global", "sharded_local", "dynamic_global", "coin_global", "metrics_mge",
-         "open_edges", "snapshot_lost", "edges_by_date", "estimated_transitivity", "sql_adaptive_global", "stream_adaptive_global"]
+         "unclosed_edges", "snapshot_lost", "edges_by_date", "estimated_transitivity", "sql_adaptive_global", "stream_adaptive_global"]
 
 
 @pytest.mark.parametrize("name", NAMES)
