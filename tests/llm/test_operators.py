@@ -317,6 +317,53 @@ def test_line_dedup(spark, docs, none):
     assert line_dedup.aligned([1, 2, 3, 4, 5], [9, 2, 3, 8, 5, 1]) == [(1, 3), (4, 5)]
 
 
+def common_words(a, b):
+    """The most words of a block of adjacent lines that two texts share, lines without words passed over."""
+    a, b = ([x.strip() for x in t.split("\n") if x.strip()] for t in (a, b))
+    best, last = 0, [0] * (len(b) + 1)
+    for x in a:
+        last = [0] + [last[j] + len(x.split()) if x == y else 0 for j, y in enumerate(b)]
+        best = max(best, *last)
+    return best
+
+
+def test_line_dedup_loses_no_repeat(spark):
+    def line(k, n):
+        return " ".join(f"l{k}w{i}" for i in range(n))
+
+    verse = [line(k, 3) for k in range(20)]
+    passage = [line(100 + k, 8) for k in range(8)]
+    rows = [(k, f"own {k} text\n{x}\nend {k}") for k, x in enumerate(passage)]  # every line of the passage alone in an earlier document
+    rows += [
+        (20, "start of twenty\n" + "\n".join(passage)), (21, "\n".join(passage) + "\nend of twenty-one"),
+        (22, "\n".join(["a head", *verse, "a tail"])), (23, "\n\n".join(["other head", *verse, "other tail"])), (24, line(200, 6)), (25, f"x\n{line(200, 6)}\ny"),
+        (26, "\n".join([*verse[10:], "mid", *verse[:10]])), (27, "\n".join([*passage, "again", *passage])),
+        (28, "\n".join(line(300 + k, 9) for k in range(4))), (29, "\n".join(line(300 + k, 9) for k in (3, 2, 1, 0))),
+    ]
+    got = {r.doc_id: r.text for r in line_dedup.deduplicated(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert [got[k] for k in range(8)] == [t for _, t in rows[:8]] and got[22] == rows[10][1] and got[24] == rows[12][1] and got[28] == rows[16][1]
+    assert got[20] == "start of twenty" and got[21] == "end of twenty-one" and got[23].split() == ["other", "head", "other", "tail"]
+    assert got[25] == "x\ny" and got[26] == "mid" and got[29] == "" and got[27] == "again\n" + "\n".join(passage)
+
+
+def test_line_dedup_aligns_again(spark):
+    import random
+
+    rng = random.Random(5)
+    pool = [" ".join(f"p{k}w{i}" for i in range(rng.choice([1, 2, 3, 4, 5, 7, 12]))) for k in range(40)]
+    texts = []
+    for k in range(60):
+        lines = [f"own {k}"]
+        for _ in range(rng.randint(1, 6)):
+            at = rng.randrange(40)
+            lines += pool[at:at + rng.randint(1, 25)] * rng.randint(1, 3) + [""] * rng.randint(0, 2)
+        texts.append("\n".join(lines))
+    got = {r.doc_id: r.text for r in line_dedup.deduplicated(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert max(common_words(texts[a], texts[b]) for a in range(60) for b in range(a)) >= 50
+    assert max(common_words(got[a], got[b]) for a in range(60) for b in range(a)) < 50
+    assert got[0] == texts[0] and all(f"own {k}" in got[k] for k in got)
+
+
 # ------------------------------------------------------------------ 10
 
 
