@@ -1,9 +1,9 @@
 """Main text of HTML pages by wrapper induction.
 
-Pages of one host are parsed to trees and aligned with a reference page by simple tree matching. Text nodes that stay
-the same on most of the aligned pages are the host's template; the others are slots that vary. Extraction aligns each page
-with its host's pruned template and leaves out what meets a constant node, as well as elements that are no article by
-their kind or name (menus, forms, scripts, comments and the like).
+All distinct pages of a host are parsed to trees, grouped by layout, and aligned with a reference page of their group by
+simple tree matching. Text nodes that stay the same on most of them are the group's template; the others are slots that
+vary. Extraction aligns each page with the pruned template of its group and leaves out what meets a constant node, as well
+as elements that are no article by their kind or name (menus, forms, scripts, comments and the like).
 """
 
 from __future__ import annotations
@@ -12,18 +12,21 @@ import html
 import json
 import re
 from collections.abc import Iterator
+from hashlib import md5
 from zlib import crc32
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import storage
 
-#: Pages of a host that a wrapper is fitted on, and how many must be there.
-SAMPLE, LEAST = 12, 4
-CONSTANT = 0.8
-SALTS = 64
+#: Distinct pages that a group needs for a template, and the share of them on which a node is constant.
+LEAST, CONSTANT = 4, 0.8
+#: Elements that make a layout, down to this depth.
+FRAME, DEPTH = frozenset("html body div section article main aside nav header footer form center table tbody tr td".split()), 4
+#: Characters of reference pages or templates that are broadcast; more of them are joined.
+SENT = 32_000_000
 #: Child lists with more pairs than this are aligned by equal or like children instead of by all pairs.
 PAIRS = 2500
 
@@ -191,25 +194,49 @@ def _listed(a: Node, b: Node, depth: int) -> tuple[int, list[tuple[Node, Node]]]
     return total, pairs
 
 
-def induced(pages: list[str]) -> str | None:
-    """The pruned template of a host as JSON, from its sample; None if there are too few pages or nothing is constant."""
-    if len(pages) < LEAST:
-        return None
-    trees = [parse(p) for p in pages]
-    votes: dict[int, int] = {}
-    for other in trees[1:]:
-        for p, q in matched(trees[0], other)[1]:
-            if p.text is not None and p.text.strip() and p.text == q.text:
-                votes[id(p)] = votes.get(id(p), 0) + 1
-    least = CONSTANT * (len(trees) - 1)
+def layout(root: Node) -> int:
+    """A digest of the frame of a page: the paths of its outer elements, whatever their number; digits in names don't count."""
+    paths: set[str] = set()
+    stack = [(k, "", 1) for k in root.kids]
+    while stack:
+        node, above, depth = stack.pop()
+        if node.tag not in FRAME:
+            continue
+        path = f"{above}/{node.tag} {re.sub('[0-9]+', '', node.name)}"
+        paths.add(path)
+        if depth < DEPTH:
+            stack.extend((k, path, depth + 1) for k in node.kids)
+    return int.from_bytes(md5("\n".join(sorted(paths)).encode("utf-8", "surrogatepass")).digest()[:7])
+
 
-    def pruned(node: Node) -> list | None:
+def _numbered(root: Node) -> dict[int, int]:
+    """The numbers of the text nodes in page order, by identity."""
+    out: dict[int, int] = {}
+    stack = [root]
+    while stack:
+        node = stack.pop()
         if node.text is not None:
-            return ["#text", "", node.text] if votes.get(id(node), 0) >= least else None
-        kids = [k for k in map(pruned, node.kids) if k]
+            out[id(node)] = len(out)
+        stack.extend(reversed(node.kids))
+    return out
+
+
+def votes(reference: Node, numbers: dict[int, int], page: Node) -> list[int]:
+    """The numbers of the reference's text nodes that the page has too."""
+    return [numbers[id(p)] for p, q in matched(reference, page)[1] if p.text is not None and p.text.strip() and p.text == q.text]
+
+
+def pruned(reference: Node, constant: set[int]) -> str | None:
+    """The template as JSON: what the reference has of constant nodes; None if there are none."""
+    numbers = _numbered(reference)
+
+    def cut(node: Node) -> list | None:
+        if node.text is not None:
+            return ["#text", "", node.text] if numbers[id(node)] in constant else None
+        kids = [k for k in map(cut, node.kids) if k]
         return [node.tag, node.name, kids] if kids else None
 
-    found = pruned(trees[0])
+    found = cut(reference)
     return json.dumps(found) if found else None
 
 
@@ -252,12 +279,23 @@ def articles(root: Node) -> list[Node]:
 
 
 def main_text(page: str, template: Node | None = None) -> str:
-    """The article's blocks in page order, joined by two newlines; white space in a block is one space."""
+    """The article's blocks in page order, joined by two newlines; white space in a block is one space.
+
+    A template that would leave nothing of an article is not applied to it.
+    """
     root = parse(page)
     constant: set[int] = set()
     if template is not None:
         constant = {id(p) for p, q in matched(root, template)[1] if p.text is not None and p.text == q.text}
     blocks: list[str] = []
+    for top in articles(root):
+        blocks += _blocks(top, top is not root, constant) or (_blocks(top, top is not root, set()) if constant else [])
+    return "\n\n".join(blocks)
+
+
+def _blocks(top: Node, inside: bool, constant: set[int]) -> list[str]:
+    """The blocks of one article without its constant nodes."""
+    blocks: list[str] = []
     run: list[str] = []
 
     def close() -> None:
@@ -266,28 +304,26 @@ def main_text(page: str, template: Node | None = None) -> str:
             blocks.append(text)
         run.clear()
 
-    for top in articles(root):
-        inside = top is not root
-        stack: list[tuple[Node, bool]] = [(top, False)]
-        while stack:
-            node, done = stack.pop()
-            if node.text is not None:
-                if id(node) not in constant:
-                    run.append(node.text)
-            elif done:
+    stack: list[tuple[Node, bool]] = [(top, False)]
+    while stack:
+        node, done = stack.pop()
+        if node.text is not None:
+            if id(node) not in constant:
+                run.append(node.text)
+        elif done:
+            close()
+        elif node is not top and boilerplate(node, inside):
+            if node.tag not in INLINE:
                 close()
-            elif node is not top and boilerplate(node, inside):
-                if node.tag not in INLINE:
-                    close()
-            else:
-                if node.tag == "br":
-                    run.append(" ")
-                elif node.tag not in INLINE:
-                    close()
-                    stack.append((node, True))
-                stack.extend((k, False) for k in reversed(node.kids))
-        close()
-    return "\n\n".join(blocks)
+        else:
+            if node.tag == "br":
+                run.append(" ")
+            elif node.tag not in INLINE:
+                close()
+                stack.append((node, True))
+            stack.extend((k, False) for k in reversed(node.kids))
+    close()
+    return blocks
 
 
 # ------------------------------------------------------------------ the operator
@@ -298,36 +334,76 @@ def host(url: str = "url"):
     return F.lower(F.regexp_extract(F.coalesce(F.col(url), F.lit("")), r"^[a-zA-Z][\w+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
 
 
-def wrappers(pages: DataFrame) -> DataFrame:
-    """(host, template) of every host with LEAST pages or more and a constant node.
+def _laid(pages: DataFrame) -> DataFrame:
+    """page_id, url, html of all rows with host and layout."""
+
+    def lay(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([layout(parse(h or "")) for h in batch.column(2).to_pylist()], pa.int64())], [*batch.schema.names, "layout"])
+
+    return pages.select("page_id", "url", "html", host().alias("host")).mapInArrow(lay, "page_id long, url string, html string, host string, layout long")
 
-    A host's wrapper is fitted on the SAMPLE pages whose ids come first by hash. They are chosen among keys alone in two
-    steps, by (host, salt) and by host, so a large host meets in no task; then only their pages are fetched.
+
+def _sent(df: DataFrame, column: str) -> DataFrame:
+    """``df`` for a join that broadcasts it unless its texts are too long."""
+    return F.broadcast(df) if (df.agg(F.sum(F.length(column))).first()[0] or 0) <= SENT else df
+
+
+def wrappers(pages: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(host, layout, cluster, n) of all layouts, and (host, cluster, template, size) of the groups of pages.
+
+    A host's pages of one layout are a group; those of its layouts with fewer than LEAST distinct pages make up one more,
+    cluster -1. Pages are distinct by digest. Each distinct page votes for the nodes that it shares with its group's
+    reference, the page with the first digest; votes are counted by node, so a large host meets in no task.
     """
-    keys = pages.select("page_id", host().alias("host")).where("host <> ''").withColumn("draw", F.xxhash64("page_id"))
-    keys = keys.withColumn("salt", F.pmod("draw", F.lit(SALTS)))
-    for by in (["host", "salt"], ["host"]):
-        place = F.row_number().over(Window.partitionBy(*by).orderBy("draw", "page_id"))
-        keys = keys.withColumn("_place", place).where(F.col("_place") <= SAMPLE).drop("_place")
-    chosen = storage.saved(keys.select("page_id", F.col("host").alias("_host"), "draw").dropDuplicates(["page_id", "_host"]), "sampled_pages")
-    sample = pages.select("page_id", host().alias("host"), "html").join(chosen, "page_id").where("host = _host").select("host", "draw", F.coalesce("html", F.lit("")).alias("html"))
+    some = pages.where("html <> ''").where(host() != "")
+    keys = _laid(some).select("host", "layout", F.md5("html").alias("digest")).distinct()
+    known = keys.groupBy("host", "layout").agg(F.count(F.lit(1)).alias("n"), F.min("digest").alias("digest"))
+    layouts = storage.saved(known.withColumn("cluster", F.when(F.col("n") < LEAST, -1).otherwise(F.col("layout"))), "layouts")
+    clusters = layouts.groupBy("host", "cluster").agg(F.sum("n").alias("size"), F.min("digest").alias("digest")).where(F.col("size") >= LEAST)
+    texts = some.select(host().alias("host"), F.md5("html").alias("digest"), "html").join(clusters, ["host", "digest"])
+    references = storage.saved(texts.groupBy("host", "cluster").agg(F.first("size").alias("size"), F.first("digest").alias("first"), F.first("html").alias("reference")), "references")
+    rows = _laid(some).join(layouts.select("host", "layout", "cluster"), ["host", "layout"]).join(_sent(references, "reference"), ["host", "cluster"])
+
+    def vote(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parsed: dict[str, tuple[Node, dict[int, int]]] = {}
+        for batch in batches:
+            out = []
+            for page, reference in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist()):
+                if reference not in parsed:
+                    if len(parsed) > 1000:
+                        parsed.clear()
+                    tree = parse(reference)
+                    parsed[reference] = tree, _numbered(tree)
+                out.append(votes(*parsed[reference], parse(page)))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(out, pa.list_(pa.int32()))], ["host", "cluster", "digest", "nodes"])
 
-    def induce(table: pa.Table) -> pa.Table:
-        rows = sorted(zip(table.column("draw").to_pylist(), table.column("html").to_pylist()))
-        return pa.table({"host": pa.array([table.column("host")[0].as_py()]), "template": pa.array([induced([h for _, h in rows[:SAMPLE]])], pa.string())})
+    cast = rows.withColumn("digest", F.md5("html")).where("digest <> first").select("host", "cluster", "digest", "html", "reference").mapInArrow(vote, "host string, cluster long, digest string, nodes array<int>")
+    counted = cast.groupBy("host", "cluster", "digest").agg(F.first("nodes").alias("nodes")).select("host", "cluster", F.explode("nodes").alias("node")).groupBy("host", "cluster", "node").agg(F.count(F.lit(1)).alias("k"))
+    constant = counted.join(references, ["host", "cluster"]).where(F.col("k") >= CONSTANT * (F.col("size") - 1)).groupBy("host", "cluster").agg(F.collect_list("node").alias("nodes"))
+
+    def prune(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            made = [pruned(parse(r), set(nodes)) for r, nodes in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist())]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(made, pa.string())], ["host", "cluster", "size", "template"])
 
-    return sample.groupBy("host").applyInArrow(lambda t: induce(t), "host string, template string").where("template is not null")
+    made = references.join(constant, ["host", "cluster"]).select("host", "cluster", "size", "reference", "nodes").mapInArrow(prune, "host string, cluster long, size long, template string")
+    return layouts, storage.saved(made.where("template is not null"), "wrappers")
 
 
 def extracted(pages: DataFrame) -> DataFrame:
     """page_id, url, text of every row of pages (page_id, url, html; further columns are ignored).
 
     A null html is empty and has an empty text; a null url, or one without a host, has no wrapper. Repeated rows give
-    repeated rows; an empty table gives none. Nothing of an article is dropped or cut. Templates have a row per host:
-    Spark broadcasts them below its size limit and joins by host beyond it.
+    repeated rows; an empty table gives none. No template takes all text of an article away. A page whose group has no
+    template is held against the one of its host's largest group. Templates are broadcast up to SENT characters and
+    joined beyond it.
     """
-    known = storage.saved(wrappers(pages), "wrappers").select(F.col("host").alias("_host"), "template")
-    rows = pages.select("page_id", "url", "html", host().alias("host")).join(known, F.col("host") == F.col("_host"), "left")
+    layouts, templates = wrappers(pages)
+    largest = templates.groupBy("host").agg(F.max_by("template", F.struct("size", "cluster")).alias("template"))
+    small = layouts.join(templates.select("host", "cluster", "template"), ["host", "cluster"], "left").join(largest.withColumnRenamed("template", "other"), "host", "left")
+    known = storage.saved(small.select("host", "layout", F.coalesce("template", "other").alias("template")).where("template is not null"), "templates")
+    rows = _laid(pages).join(_sent(known, "template"), ["host", "layout"], "left")
 
     def extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parsed: dict[str, Node] = {}

@@ -200,6 +200,22 @@ def test_wrapper_induction(spark):
     assert [(x.text, y.text) for x, y in html_extract.matched(a, b)[1] if x.text] == [("b", "b"), ("a", "a")]
 
 
+def test_wrappers_of_all_pages(spark):
+    def one(i):
+        return f"<body><div class=top><span>Daily Planet</span></div><div class=story><p>Report {i}</p></div></body>"
+
+    def two(i):
+        return f"<body><section><p>Evening Star</p></section><section class=piece><h2>Piece {i}</h2></section></body>"
+
+    copy = "<body><div class=story><p>The same article</p></div></body>"
+    rows = [(i, "http://two.example/", one(i) if i % 2 else two(i)) for i in range(40)] + [(100 + i, "http://copies.example/", copy) for i in range(30)] + [(130, "http://copies.example/", one(130))]
+    rows += [(200, "http://again.example/", one(200))] * 8 + [(210 + i, "http://near.example/", f"<body><main><p>One article</p></main><i>{i}</i></body>") for i in range(9)]
+    got = {r.page_id: r.text for r in html_extract.extracted(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[i] == (f"Report {i}" if i % 2 else f"Piece {i}") for i in range(40))
+    assert all(got[100 + i] == "The same article" for i in range(30)) and got[200] == "Daily Planet\n\nReport 200"
+    assert all(got[210 + i] == "One article" for i in range(9))
+
+
 # ------------------------------------------------------------------ 6
 
 
