@@ -285,6 +285,23 @@ def test_lm_counts_and_scores(spark, docs, none):
     assert context_mixing.scored(none).count() == 0 and context_mixing.scored(docs).count() == len(ROWS)
 
 
+def test_mixing_learns_from_all_pairs(spark):
+    words = [f"word{k % 9}{k}".encode() for k in range(400)]
+    before, c = np.arange(400) % context_mixing.CLASSES, 1 + np.arange(400) ** 2
+    pairs = spark.createDataFrame([(bytearray(w), int(b), int(n)) for w, b, n in zip(words, before, c)], "word binary, before int, c long").repartition(5)
+    tables = context_mixing.context_counts(pairs)
+    model = context_mixing.fitted(*tables, words[:20], before[:20], c[:20])
+    sent = spark.sparkContext.broadcast(tables)
+    for kernel in (context_mixing.weight_sums, context_mixing.map_sums):
+        assert np.allclose(context_mixing.summed(pairs, kernel, model, sent), kernel(model, *tables, words, before, c))
+    sums = context_mixing.summed(pairs, context_mixing.map_sums, model, sent)
+    assert sums[1].sum() == sum((len(w) + 1) * 8 * int(n) for w, n in zip(words, c))  # no pair is left out, no count is capped
+    first = np.abs(context_mixing.weight_sums(model, *tables, words, before, c)[:, :context_mixing.INPUTS]).sum()
+    for _ in range(6):
+        model.weights = context_mixing.stepped(model.weights, context_mixing.summed(pairs, context_mixing.weight_sums, model, sent))
+    assert np.abs(context_mixing.weight_sums(model, *tables, words, before, c)[:, :context_mixing.INPUTS]).sum() < first / 2
+
+
 # ------------------------------------------------------------------ 8
 
 
