@@ -188,6 +188,8 @@ def coloured_triangles(edges: DataFrame, colours: int, seed: int = 42) -> DataFr
 
 def recency_triangles(events: DataFrame, k: int, alpha: float = 0.5, seed: int = 42, runs: int = 1) -> TriangleResult:
     """One machine that always holds the newest alpha k edges; older ones go through a reservoir of the rest."""
+    if "sign" in events.columns and events.where("sign <> 1").take(1):
+        raise ValueError("recency_triangles takes insertions only")
     newest = int(alpha * k)
     rest = k - newest
     _check(1, rest, runs)

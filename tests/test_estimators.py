@@ -176,6 +176,11 @@ def test_memory_cap_and_ratio_floor(spark):
     assert low >= 0.2
 
 
+def test_recency_refuses_deletions(spark):
+    with pytest.raises(ValueError):
+        methods.recency_triangles(stream(spark, SIGNED), 20)
+
+
 def test_bad_input(spark):
     s = stream(spark, SIGNED)
     with pytest.raises(ValueError):
