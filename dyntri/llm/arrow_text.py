@@ -103,10 +103,26 @@ def shingle_hashes(words: np.ndarray, size: int) -> np.ndarray:
     return mixed(total)
 
 
+def cut_points(data: np.ndarray, table: np.ndarray, most: int) -> list[int]:
+    """Ends of consecutive stretches of one text, about ``most`` bytes each, none inside a word; the last is the text's end."""
+    out, at = [], 0
+    while len(data) - at > most:
+        at += most
+        while at < len(data) and table[data[at]]:
+            gap = np.flatnonzero(~table[data[at : at + 4096]])
+            at += int(gap[0]) if len(gap) else min(4096, len(data) - at)
+        out.append(at)
+    return [*out, len(data)]
+
+
 class HashIndex:
-    """64-bit hashes to small integers: open addressing over arrays, whole arrays of hashes at a time."""
+    """64-bit hashes to small integers: open addressing over arrays that grow, whole arrays of hashes at a time."""
 
     def __init__(self, room: int):
+        self.n = 0
+        self._room(room)
+
+    def _room(self, room: int) -> None:
         size = 1 << max(10, (2 * room - 1).bit_length())
         self.keys, self.values, self.mask = np.zeros(size, np.uint64), np.zeros(size, np.int32), np.uint64(size - 1)
 
@@ -126,7 +142,15 @@ class HashIndex:
 
     def add(self, hashes: np.ndarray, values: np.ndarray) -> None:
         """hashes: distinct and not yet known."""
-        hashes = np.where(hashes == 0, np.uint64(1), hashes)
+        if 4 * (self.n + len(hashes)) > 3 * len(self.keys):
+            old, there = self.keys != 0, self.values
+            keys, there = self.keys[old], there[old]
+            self._room(2 * (self.n + len(hashes)))
+            self._put(keys, there)
+        self.n += len(hashes)
+        self._put(np.where(hashes == 0, np.uint64(1), hashes), values)
+
+    def _put(self, hashes: np.ndarray, values: np.ndarray) -> None:
         slot = (hashes & self.mask).astype(np.int64)
         while len(hashes):
             free = self.keys[slot] == 0

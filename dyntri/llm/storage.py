@@ -49,6 +49,14 @@ def saved(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def tasks(df: DataFrame, bytes_each: int) -> int:
+    """Shuffle partitions for a table: the session's number, or more where its estimated size asks for it."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    own = max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    # a plan without statistics of its own claims a size beyond all bounds
+    return max(own, min(-(-size // bytes_each), 1_000_000)) if size < 1 << 60 else own
+
+
 def write_blobs(df: DataFrame, column: str, path: str, per_file: int = 0) -> None:
     """One file per task: the bytes of ``column``, each value followed by one NUL byte; per_file: values in a file at most.
 

@@ -38,7 +38,9 @@ BLOCK_IDS = 512
 COUNTS = np.array([1, 120, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1])
 WIDTHS = np.array([64, 0, 1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60])
 SEGMENT_IDS = 1 << 20
-PIECE_BYTES = 4_000_000
+PIECE_BYTES = 1_000_000
+#: Segments of a file, so files don't grow with the corpus, and bytes of a table's stored size that one writing task takes.
+FILE_SEGMENTS, TASK_BYTES = 8, 64_000_000
 
 
 # ------------------------------------------------------------------ the codec
@@ -140,13 +142,16 @@ def write_segment(doc_ids: np.ndarray, nulls: np.ndarray, lengths: np.ndarray, i
     return MAGIC + b"".join(np.ascontiguousarray(x).tobytes() for x in parts)
 
 
-def read_segments(content: bytes) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+def read_segments(content: bytes | pa.Buffer) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """(doc ids, nulls, lengths, ids) of each segment of a file."""
     view, at = memoryview(content), 0
     while True:
-        at = content.find(MAGIC, at) if at < len(content) else -1
-        if at < 0:
+        while at < len(view) and view[at] == 0:
+            at += 1
+        if at >= len(view):
             return
+        if view[at : at + len(MAGIC)] != MAGIC:
+            raise ValueError("not a segment of token ids")
         at += len(MAGIC)
 
         def take(kind: type, n: int) -> np.ndarray:
@@ -214,8 +219,8 @@ class WordTokenizer:
     other word takes the whole pipeline.
     """
 
-    #: Words kept before the memory starts anew, so it stays bounded (two of them meet in one hash with odds of 1e-7).
-    KEPT = 700_000
+    #: Words kept; beyond it the less used ones go, so a worker's memory stays at some 20 MB (two words of it meet in one hash with odds of 1e-9).
+    KEPT = 120_000
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -239,6 +244,8 @@ class WordTokenizer:
     def _piece(self, piece: str) -> bytes:
         got = self.pieces.get(piece)
         if got is None:
+            if len(self.pieces) > self.KEPT // 4:
+                self.pieces.clear()
             text = piece if piece.isascii() else "".join([self.letters[b] for b in piece.encode()])
             got = self.pieces[piece] = array("I", [t.id for t in self.model.tokenize(text)]).tobytes()
         return got
@@ -256,33 +263,54 @@ class WordTokenizer:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
     def _start(self) -> None:
-        self.pieces.clear()
-        self.index = arrow_text.HashIndex(2 * self.KEPT)
-        self.flat = Grown(np.uint32)
-        self.sizes = Grown(np.int64)
+        self.index = arrow_text.HashIndex(self.KEPT)
+        self.flat, self.sizes, self.hashes = Grown(np.uint32), Grown(np.int64), Grown(np.uint64)
+        self.uses = np.zeros(0, np.int64)
+
+    def _forget(self) -> None:
+        """Keeps the third of the words that was used most."""
+        sizes, flat = self.sizes.all(), self.flat.all()
+        best = np.sort(np.argsort(-self.uses, kind="stable")[: self.KEPT // 3])
+        begins, hashes, uses = (np.cumsum(sizes) - sizes)[best], self.hashes.all()[best], self.uses[best] // 2
+        sizes = sizes[best]
+        ends = np.cumsum(sizes)
+        kept = flat[np.arange(ends[-1] if len(ends) else 0) + np.repeat(begins - (ends - sizes), sizes)]
+        self._start()
+        self.index.add(hashes, np.arange(len(best)))
+        self.flat.extend(kept)
+        self.sizes.extend(sizes)
+        self.hashes.extend(hashes)
+        self.uses = uses
 
     def _learn(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray, hashes: np.ndarray) -> None:
         new, first = np.unique(hashes, return_index=True)
         text = data.tobytes()
         got = [self.word(text[a:b]) for a, b in zip(starts[first].tolist(), ends[first].tolist())]
         self.index.add(new, len(self.sizes) + np.arange(len(new)))
+        self.hashes.extend(new)
         self.sizes.extend(np.fromiter(map(len, got), np.int64, len(got)) // 4)
         self.flat.extend(np.frombuffer(b"".join(got), np.uint32))
 
     def ids(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(ids, how many of each row) for rows of bytes."""
+        """(ids, how many of each row) for rows of bytes; a very long row is taken in stretches."""
+        if len(data) > 2 * PIECE_BYTES and len(offsets) == 2:
+            cuts = [0, *arrow_text.cut_points(data, self.table, PIECE_BYTES)]
+            parts = [self.ids(data[a:b], np.array([0, b - a]))[0] for a, b in zip(cuts, cuts[1:])]
+            whole = np.concatenate(parts)
+            return whole, np.array([len(whole)])
         starts, ends, per_row = arrow_text.word_spans(data, offsets, self.table)
         if not len(starts):
             return np.zeros(0, np.uint32), np.zeros(len(per_row), np.int64)
         hashes = arrow_text.word_hashes(data, starts, self.codes)
         if len(self.sizes) > self.KEPT:
-            self._start()
+            self._forget()
         which = self.index.find(hashes)
         new = np.flatnonzero(which < 0)
         if len(new):
             self._learn(data, starts[new], ends[new], hashes[new])
             which[new] = self.index.find(hashes[new])
         sizes = self.sizes.all()
+        self.uses = np.concatenate([self.uses, np.zeros(len(sizes) - len(self.uses), np.int64)]) + np.bincount(which, minlength=len(sizes))
         counts = sizes[which]
         total = np.cumsum(counts)
         begins = (np.cumsum(sizes) - sizes)[which]
@@ -308,8 +336,9 @@ def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: i
     """Tokenizes whole texts and writes their ids to ``path`` in ascending doc_id order (null ids first).
 
     docs: doc_id long, text string, any further columns. A null or empty text has the end id alone (nothing where
-    ``end_id`` is None). Rows with equal ids go by text, equal rows next to each other. An empty table writes no segment.
-    One shuffle by ranges of doc_id; each task then streams: at most one segment's ids are held.
+    ``end_id`` is None). Rows with equal ids go by a hash of the text, equal rows next to each other. An empty table
+    writes no segment. One shuffle by ranges of doc_id and that hash, with as many tasks as the table's size asks for;
+    each task then streams: at most one segment's ids are held, and FILE_SEGMENTS segments make a file.
     """
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -337,10 +366,10 @@ def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: i
         if held:
             yield segment()
 
-    spark = docs.sparkSession
-    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
-    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text")).repartitionByRange(n, "doc_id").sortWithinPartitions("doc_id", "text")
-    storage.write_blobs(ordered.mapInArrow(encode, "blob binary"), "blob", path)
+    n = storage.tasks(docs, TASK_BYTES)
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"), F.xxhash64("text").alias("version"))
+    ordered = own.repartitionByRange(n, "doc_id", "version").sortWithinPartitions("doc_id", "version", "text").select("doc_id", "text")
+    storage.write_blobs(ordered.mapInArrow(encode, "blob binary"), "blob", path, per_file=FILE_SEGMENTS)
 
 
 def read_token_files(spark, path: str) -> DataFrame:
@@ -348,6 +377,12 @@ def read_token_files(spark, path: str) -> DataFrame:
     return _read(spark, path, T.StructType([*_READ.fields, T.StructField("ids", T.ArrayType(T.LongType()))]), True)
 
 
+def _file_number(path: str) -> int:
+    """Task and number of a file within its task, as one number that orders files."""
+    name = path.rpartition("/part-")[2]
+    return int(name.split("-")[0]) << 24 | int(name.rpartition("-c")[2].split(".")[0])
+
+
 _READ = T.StructType([T.StructField(n, T.LongType()) for n in ("file", "place", "doc_id", "n_tokens", "ids_crc32")])
 
 
@@ -355,8 +390,8 @@ def _read(spark, path: str, schema: T.StructType, whole: bool) -> DataFrame:
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for name, content in zip(batch.column(0), batch.column(1)):
-                file, place = int(name.as_py().rpartition("/part-")[2].split("-")[0]), 0
-                for doc_ids, nulls, lengths, ids in read_segments(content.as_buffer().to_pybytes()):
+                file, place = _file_number(name.as_py()), 0
+                for doc_ids, nulls, lengths, ids in read_segments(content.as_buffer()):
                     ends = np.cumsum(lengths, dtype=np.int64)
                     starts = ends - lengths
                     sums = [zlib.crc32(ids[a:b].tobytes()) for a, b in zip(starts.tolist(), ends.tolist())]
