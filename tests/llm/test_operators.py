@@ -268,7 +268,7 @@ def test_lm_counts_and_scores(spark, docs, none):
     vocabulary = ["the", "cat", "sat", "mat", "running", "jumped", "house."]
     rows = [(int(i), " ".join(rng.choice(vocabulary, int(rng.integers(3, 40))))) for i in range(120)] + [(500, None), (501, ""), (502, "unseen zebra"), (None, "the cat")]
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    got = context_mixing.scored(df, frequent=3, sample_words=500).collect()
+    got = context_mixing.scored(df, frequent=3).collect()
     words = [WORD.findall(low(t)) + [None] for _, t in rows]
     held = [i is not None and zlib.crc32(str(i).encode()) % 5 == 1 for i, _ in rows]
     c = collections.Counter(w for ws, h in zip(words, held) if not h for w in ws)
@@ -286,20 +286,51 @@ def test_lm_counts_and_scores(spark, docs, none):
 
 
 def test_mixing_learns_from_all_pairs(spark):
-    words = [f"word{k % 9}{k}".encode() for k in range(400)]
-    before, c = np.arange(400) % context_mixing.CLASSES, 1 + np.arange(400) ** 2
-    pairs = spark.createDataFrame([(bytearray(w), int(b), int(n)) for w, b, n in zip(words, before, c)], "word binary, before int, c long").repartition(5)
-    tables = context_mixing.context_counts(pairs)
-    model = context_mixing.fitted(*tables, words[:20], before[:20], c[:20])
+    words = sorted(f"word{k % 9}{k}".encode() for k in range(400))
+    c = 1 + np.arange(400) ** 2
+    pairs = spark.createDataFrame([(bytearray(w[:6]), bytearray(w), k % 3, int(n), 6) for k, (w, n) in enumerate(zip(words, c))], context_mixing.PAIRS).repartition(5, "grp").sortWithinPartitions("grp", "word", "class")
+    bits = context_mixing.table_bits(400)
+    tables = context_mixing.context_counts(pairs, bits)
+    model = context_mixing.fresh_model(bits, *tables)
     sent = spark.sparkContext.broadcast(tables)
+    import pyarrow as pa
+
+    own = context_mixing.edges(pa.array(words, pa.binary()), np.arange(400) % 3, c, np.full(400, 6))
     for kernel in (context_mixing.weight_sums, context_mixing.map_sums):
-        assert np.allclose(context_mixing.summed(pairs, kernel, model, sent), kernel(model, *tables, words, before, c))
+        assert np.allclose(context_mixing.summed(pairs, kernel, model, sent), kernel(model, own))
     sums = context_mixing.summed(pairs, context_mixing.map_sums, model, sent)
     assert sums[1].sum() == sum((len(w) + 1) * 8 * int(n) for w, n in zip(words, c))  # no pair is left out, no count is capped
-    first = np.abs(context_mixing.weight_sums(model, *tables, words, before, c)[:, :context_mixing.INPUTS]).sum()
-    for _ in range(6):
+    first = np.abs(context_mixing.weight_sums(model, own)[:, : context_mixing.INPUTS]).sum()
+    for _ in range(8):
         model.weights = context_mixing.stepped(model.weights, context_mixing.summed(pairs, context_mixing.weight_sums, model, sent))
-    assert np.abs(context_mixing.weight_sums(model, *tables, words, before, c)[:, :context_mixing.INPUTS]).sum() < first / 2
+    assert np.abs(context_mixing.weight_sums(model, own)[:, : context_mixing.INPUTS]).sum() < first / 2
+
+
+def test_words_are_a_probability_in_groups_of_any_size(spark, monkeypatch):
+    """All words of a class together have a probability of 1 at most, whatever groups they lie in; words that share a beginning share its decisions."""
+    rng = np.random.default_rng(2)
+    syllables = ["tion", "ing", "an", "re", "st", "le"]
+    words = sorted({"".join(rng.choice(syllables, 5)) for _ in range(500)})
+    pairs = spark.createDataFrame([(bytearray(w.encode()), k % 2, 1 + k % 4) for k, w in enumerate(words)], "word binary, class int, c long")
+    for most in (200_000, 40, 3):
+        monkeypatch.setattr(context_mixing, "GROUP_WORDS", most)
+        grouped = storage.saved(context_mixing.grouped_pairs(pairs), "g")
+        assert grouped.count() == len(words) and grouped.groupBy("grp").count().agg(F.max("count")).first()[0] <= max(most, 1) or most > 40
+        bits = context_mixing.table_bits(len(words))
+        tables = context_mixing.context_counts(grouped, bits)
+        got = context_mixing.scored_pairs(grouped, context_mixing.fresh_model(bits, *tables), spark.sparkContext.broadcast(tables)).collect()
+        assert len(got) == len(words) and sum(r["first"] for r in got) == len(words) and sum(10**r.score for r in got) <= 2.001
+
+
+def test_classes_of_texts(spark):
+    rng = np.random.default_rng(4)
+    tongues = [["the", "of", "and", "to", "in", "is"], ["der", "die", "und", "von", "zu", "mit"]]
+    rows = [(i, " ".join(rng.choice(tongues[i % 2], 30))) for i in range(200)]
+    found = context_mixing.text_classes(spark.createDataFrame(rows, "doc_id long, text string"))
+    data = np.frombuffer("the of a und der die nothing known".encode(), np.uint8)
+    starts, ends, _ = arrow_text.word_spans(data, np.array([0, len(data)]), arrow_text.word_table())
+    kinds = found.of(data, starts, ends, np.array([2, 4, 2]))
+    assert found.odds.shape == (12, 2) and kinds[0] != kinds[1] and kinds[2] == 0
 
 
 # ------------------------------------------------------------------ 8
