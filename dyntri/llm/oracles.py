@@ -25,15 +25,17 @@ WITH d AS (
   FROM m
 ), h AS (
   SELECT source, count(*) AS n, sum(CASE WHEN base_failed OR severity > 1 THEN 1 ELSE 0 END)::BIGINT AS bad FROM s GROUP BY source
+), sums AS (
+  SELECT sum(n) AS n, sum(bad) / sum(n) AS m, sum(bad * bad / n) AS s, count(*) AS hosts FROM h
 ), prior AS (
   SELECT m, CASE WHEN v > 0 THEN greatest(1.0, least(10000.0, m * (1 - m) / v - 1)) ELSE 10000.0 END AS k
-  FROM (SELECT avg(bad / n) AS m, var_pop(bad / n) AS v FROM h)
+  FROM (SELECT m, s / n - m * m - m * (1 - m) * (hosts - 1) / n AS v FROM sums)
 ), verdict AS (
-  SELECT source, (bad + m * k) / (n + k) AS rate FROM h, prior
+  SELECT source, greatest(0.75, least(2.0, 1 - 0.25 * CASE WHEN m * (1 - m) > 0 THEN ((bad + m * k) / (n + k) - m) / sqrt(m * (1 - m) / (k + 1)) ELSE 0.0 END)) AS allowed FROM h, prior
 )
 SELECT doc_id, n_words::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines,
   n_repeat_words::BIGINT AS n_repeat_words, base_failed,
-  NOT base_failed AND severity <= CASE WHEN rate >= 0.5 THEN 0.75 WHEN rate >= 0.05 THEN 1.0 ELSE 2.0 END AS kept
+  NOT base_failed AND severity <= allowed AS kept
 FROM s JOIN verdict ON s.source IS NOT DISTINCT FROM verdict.source
 """
 

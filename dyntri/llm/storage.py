@@ -49,6 +49,11 @@ def saved(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def packed(df: DataFrame):
+    """All columns of a row as one struct, whatever they are called; ``select("row.*")`` gives them back."""
+    return F.struct(*[F.col("`" + c.replace("`", "``") + "`") for c in df.columns]).alias("row")
+
+
 def tasks(df: DataFrame, bytes_each: int) -> int:
     """Shuffle partitions for a table: the session's number, or more where its estimated size asks for it."""
     size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))

@@ -25,13 +25,10 @@ def brute_kept(rows):
     for s, failed, severity in seen.values():
         n, bad = hosts.get(s, (0, 0))
         hosts[s] = (n + 1, bad + (failed or severity > 1))
-    rates = np.array([b / n for n, b in hosts.values()])
-    m, v = rates.mean(), rates.var()
+    total, m = sum(n for n, _ in hosts.values()), sum(b for _, b in hosts.values()) / sum(n for n, _ in hosts.values())
+    v = sum(n * (b / n - m) ** 2 for n, b in hosts.values()) / total - m * (1 - m) * (len(hosts) - 1) / total
     k = max(1, min(10000, m * (1 - m) / v - 1)) if v > 0 else 10000
-    allowed = {}
-    for s, (n, b) in hosts.items():
-        rate = (b + m * k) / (n + k)
-        allowed[s] = next(a for least, a in reversed(quality.ALLOWED) if rate >= least)
+    allowed = {s: max(0.75, min(2.0, 1 - 0.25 * ((b + m * k) / (n + k) - m) / np.sqrt(m * (1 - m) / (k + 1)))) for s, (n, b) in hosts.items()}
     return {i for i, (s, failed, severity) in seen.items() if not failed and severity <= allowed[s]}
 
 
