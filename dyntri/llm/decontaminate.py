@@ -7,6 +7,7 @@ Normal form: A-Z lower-cased; words are runs of digits, a-z and non-ASCII charac
 from __future__ import annotations
 
 from collections.abc import Iterator
+from uuid import uuid4
 
 import numpy as np
 import pyarrow as pa
@@ -14,12 +15,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import arrow_text
+from . import arrow_text, storage
 
 NOT_WORD = bytes([*range(0x00, 0x30), *range(0x3A, 0x61), *range(0x7B, 0x80)])
 NORMAL = bytes(b + 32 if 65 <= b <= 90 else 32 if b in NOT_WORD else b for b in range(256))
-#: Benchmark text in one automaton, in bytes: what is broadcast and what a worker holds stay below a bound.
-BLOCK_BYTES = 8_000_000
+#: Benchmark text in one automaton, in bytes: a byte makes some 9 nodes of 40 bytes, so a worker holds about 200 MB at most.
+BLOCK_BYTES = 500_000
+#: Words of a part of an item; longer items are cut into parts that overlap by a window.
+PART_WORDS = 20_000
 
 ADDED = T.StructType(
     [
@@ -115,65 +118,114 @@ def scan(docs: DataFrame, benchmark: DataFrame, window: int = 10, keep: list[str
     docs with these names give way. Null and empty texts, and those without words, have no hits; repeated rows each
     get their result; an empty benchmark hits nothing.
 
-    The benchmark is split by hash into blocks whose text stays below ``block_bytes`` on average; each is one
-    automaton, broadcast and applied in turn, so any benchmark's size is handled. No shuffle of documents.
+    The benchmark is split by hash into blocks whose text stays below ``block_bytes`` on average, long items by parts of
+    PART_WORDS words; a block is one automaton. A single block is broadcast and applied in one pass without a shuffle. Of
+    several, each is applied in a pass of its own that keeps hits only, by a 128-bit digest of the text; hits of all
+    blocks then meet the texts in a join. So a worker holds one block at a time, whatever the benchmark's size.
     """
-    spark = docs.sparkSession
-    items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
+    items = _parts(benchmark, window)
     total = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     blocks = max(1, -(-total // block_bytes))
     keep = [c for c in (docs.columns if keep is None else keep) if c not in ADDED.names]
-    carried = T.StructType([docs.schema[c] for c in keep])
-    state = T.StructType([T.StructField("ranges_", T.ArrayType(T.LongType())), T.StructField("items_", T.ArrayType(T.StringType()))])
-    out = docs.select(*keep, F.col("text").alias("text_"))
-    text_type = T.StructType([T.StructField("text_", T.StringType())])
+    schema = T.StructType([*[docs.schema[c] for c in keep], *ADDED.fields])
+    if blocks == 1:
+        return docs.select(*keep, F.col("text").alias(" text")).mapInArrow(_scanner(_sent(items), window, len(keep), schema.names), schema)
+    keys = [F.xxhash64(F.lit(seed), "text").alias(f" key{seed}") for seed in (1, 2)]
+    names = [" key1", " key2"]
+    items = storage.saved(items.withColumn("block", F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks))), "benchmark_parts")
+    found = None
     for k in range(blocks):
-        own = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == k)
-        sent = spark.sparkContext.broadcast(sorted((r.item_id, r.text.encode()) for r in own.collect()))
-        last = k == blocks - 1
-        schema = T.StructType([*carried.fields, *(ADDED.fields if last else [*text_type.fields, *state.fields])])
-        out = out.mapInArrow(_scanner(sent, window, len(keep), k > 0, last, schema.names), schema)
-    return out
+        hits = docs.where("text is not null").select(*keys, "text").mapInArrow(_finder(_sent(items.where(F.col("block") == k)), window), "` key1` long, ` key2` long, ranges array<long>, items array<string>")
+        hits = storage.saved(hits.dropDuplicates(names), "benchmark_hits")
+        found = hits if found is None else found.unionByName(hits)
+    merged_ = found.groupBy(*names).agg(F.flatten(F.collect_list("ranges")).alias(" ranges"), F.array_distinct(F.flatten(F.collect_list("items"))).alias(" items"))
+    joined = docs.select(*keep, F.col("text").alias(" text"), *keys).join(merged_, names, "left").drop(*names)
+    return joined.select(*keep, " text", " ranges", " items").mapInArrow(_finisher(len(keep), schema.names), schema)
+
+
+def _parts(benchmark: DataFrame, window: int) -> DataFrame:
+    """(item_id string, text): items, those with more than PART_WORDS words in overlapping parts of normal words."""
+    items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
+    words = F.regexp_extract_all(F.col("text"), F.lit(r"([^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+)"), 1)
+    own = items.withColumn("words", words)
+    step = max(1, PART_WORDS - window + 1)
+    starts = F.sequence(F.lit(1), F.greatest(F.size("words") - window + 1, F.lit(1)), F.lit(step))
+    cut = F.transform(starts, lambda i: F.array_join(F.slice("words", i, PART_WORDS), " "))
+    return own.select("item_id", F.explode(F.when(F.size("words") > PART_WORDS, cut).otherwise(F.array("text"))).alias("text"))
+
+
+def _sent(items: DataFrame):
+    """A block's items, sorted, for all workers; its size is bounded by the split into blocks."""
+    return items.sparkSession.sparkContext.broadcast((uuid4().hex, sorted((r.item_id, r.text.encode()) for r in items.select("item_id", "text").collect())))
 
 
-def _scanner(sent, window: int, kept: int, more: bool, last: bool, names: list[str]):
+def _block(sent, window: int) -> tuple:
+    """A block's items and its automaton."""
+    name, items = sent.value
+    return items, automaton(items, window, (name, window))
+
+
+def _scanner(sent, window: int, kept: int, names: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        items = sent.value
-        built = automaton(items, window, (sent.id, window) if hasattr(sent, "id") else (id(sent), window))
+        items, built = _block(sent, window)
         for batch in batches:
-            texts = batch.column(kept)
-            n_words, ranges, ids, where = [], [], [], []
-            before = zip(batch.column(kept + 1).to_pylist(), batch.column(kept + 2).to_pylist()) if more else None
-            for text in texts:
+            found = []
+            for text in batch.column(kept):
                 data = text.as_buffer().to_pybytes() if text.is_valid else b""
                 n, hit, got = matches(built, data)
-                own = {items[k][0] for k in got}
-                if before:
-                    flat, earlier = next(before)
-                    hit = merged([*hit, *zip(flat[::2], flat[1::2])])
-                    own.update(earlier)
-                n_words.append(n)
-                ranges.append(hit)
-                ids.append(sorted(own))
-                if last:
-                    where.append(spans(data, hit) if hit else [])
-            columns = [batch.column(c) for c in range(kept)]
-            if last:
-                hits = [sum(b - a for a, b in hit) for hit in ranges]
-                pair = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
-                columns += [pa.array(n_words, pa.int64()), pa.array(hits, pa.int64()), pa.array(ids, pa.list_(pa.string())), pa.array(where, pair)]
-            else:
-                columns += [texts, pa.array([[x for r in hit for x in r] for hit in ranges], pa.list_(pa.int64())), pa.array(ids, pa.list_(pa.string()))]
-            yield pa.RecordBatch.from_arrays(columns, names=names)
+                found.append((data, n, hit, sorted({items[k][0] for k in got})))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:kept], *_columns(found)], names=names)
 
     return run
 
 
+def _finder(sent, window: int):
+    """Keys, flat word ranges and items of the texts that have a hit."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        items, built = _block(sent, window)
+        for batch in batches:
+            rows, ranges, ids = [], [], []
+            for k, text in enumerate(batch.column(2)):
+                _, hit, got = matches(built, text.as_buffer().to_pybytes())
+                if hit:
+                    rows.append(k)
+                    ranges.append([x for r in hit for x in r])
+                    ids.append(sorted({items[j][0] for j in got}))
+            own = batch.take(pa.array(rows, pa.int64()))
+            yield pa.RecordBatch.from_arrays([own.column(0), own.column(1), pa.array(ranges, pa.list_(pa.int64())), pa.array(ids, pa.list_(pa.string()))], names=[" key1", " key2", "ranges", "items"])
+
+    return run
+
+
+def _finisher(kept: int, names: list[str]):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = []
+            for text, flat, ids in zip(batch.column(kept), batch.column(kept + 1).to_pylist(), batch.column(kept + 2).to_pylist()):
+                data = text.as_buffer().to_pybytes() if text.is_valid else b""
+                found.append((data, len(normal_words(data)), merged([*zip(flat[::2], flat[1::2])]) if flat else [], sorted(ids or [])))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:kept], *_columns(found)], names=names)
+
+    return run
+
+
+def _columns(found: list[tuple[bytes, int, list[tuple[int, int]], list[str]]]) -> list[pa.Array]:
+    """The added columns of (text, words, word ranges hit, items)."""
+    pair = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
+    return [
+        pa.array([n for _, n, _, _ in found], pa.int64()), pa.array([sum(b - a for a, b in hit) for _, _, hit, _ in found], pa.int64()),
+        pa.array([ids for *_, ids in found], pa.list_(pa.string())), pa.array([spans(data, hit) if hit else [] for data, _, hit, _ in found], pair),
+    ]
+
+
 def clean(docs: DataFrame, benchmark: DataFrame, window: int = 10) -> DataFrame:
-    """The rows of docs in which nothing of the benchmark occurs, with docs' columns."""
-    own = [c for c in docs.columns if c not in ADDED.names]
-    found = scan(docs.select([F.col(c) for c in docs.columns] if own == docs.columns else own), benchmark, window)
-    return found.where("n_hit = 0").select(*own)
+    """The rows of docs in which nothing of the benchmark occurs, with docs' columns, whatever their names.
+
+    Null texts and texts without words stay; repeated rows stay or go together; an empty table gives none.
+    """
+    plain = docs.toDF(*["text" if c == "text" else f"c{k}" for k, c in enumerate(docs.columns)])
+    return scan(plain, benchmark, window).where("n_hit = 0").select(*plain.columns).toDF(*docs.columns)
 
 
 def digest(found: DataFrame) -> DataFrame:
