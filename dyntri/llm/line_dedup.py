@@ -215,14 +215,15 @@ def deduplicated(docs: DataFrame, line_words: int = LINE_WORDS, block_words: int
         gone = gone.unionByName(more)
     if found[1:]:
         gone = gone.groupBy("doc_id", "version").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("gone")))).alias("gone"))
-    gone = gone.withColumnsRenamed({"doc_id": "_id", "version": "_version", "gone": "_gone"})
+    gone = gone.select(F.col("doc_id").alias("id"), "version", "gone")
     kept = [c for c in docs.columns if c not in ("n_lines", "removed_lines")]
-    joined = docs.select(*kept).join(gone, (F.col("doc_id") == F.col("_id")) & (F.xxhash64("text") == F.col("_version")), "left")
+    own = docs.select(storage.packed(docs.select(*kept)), "doc_id", "text")
+    joined = own.join(gone, (F.col("doc_id") == F.col("id")) & (F.xxhash64("text") == F.col("version")), "left")
     split = F.split("text", "\n")
-    rest = F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(split) - 1), F.col("_gone")), lambda i: split[i]), "\n")
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(rest)
+    rest = F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(split) - 1), F.col("gone")), lambda i: split[i]), "\n")
+    text = F.when(F.col("gone").isNull(), F.col("text")).otherwise(rest)
     return joined.select(
-        *[text.alias("text") if c == "text" else F.col(c) for c in kept],
+        *[text.alias("text") if c == "text" else F.col("row")[c].alias(c) for c in kept],
         F.when(F.col("text").isNull(), 0).otherwise(F.size(split)).cast("long").alias("n_lines"),
-        F.coalesce("_gone", F.array().cast("array<int>")).alias("removed_lines"),
+        F.coalesce("gone", F.array().cast("array<int>")).alias("removed_lines"),
     )

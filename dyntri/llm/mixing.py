@@ -122,13 +122,14 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), budget: float =
 
 
 def mixed_rows(docs: DataFrame, **settings) -> DataFrame:
-    """docs with each row as often as the mix takes it (taken / size, rounded), with docs' columns.
+    """docs with each row as often as the mix takes it (taken / size, rounded), with docs' columns, whatever their names.
 
-    Rows that are equal in doc_id and text share their takings evenly.
+    Rows that are equal in doc_id and text share their takings evenly. Rows without words are never taken; an empty table
+    gives none.
     """
     taken = mix(docs, **settings)[0]
     often = F.floor(F.avg(F.when(F.col("size") > 0, F.col("taken") / F.col("size")).otherwise(0.0)) + 0.5).cast("int")
-    copies = taken.groupBy(F.col("row_hash").alias("_hash")).agg(often.alias("_copies")).where("_copies > 0")
-    key = F.xxhash64(F.lit(settings.get("seed", 42)), F.col("doc_id"), F.col("text"))
-    joined = docs.withColumn("_key", key).join(copies, F.col("_key") == F.col("_hash"))
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
+    copies = taken.groupBy("row_hash").agg(often.alias("copies")).where("copies > 0")
+    key = F.xxhash64(F.lit(settings.get("seed", 42)), F.col("doc_id"), F.col("text")).alias("row_hash")
+    joined = docs.select(storage.packed(docs), key).join(copies, "row_hash")
+    return joined.select("row", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("row.*")

@@ -221,10 +221,28 @@ def join_components(docs: DataFrame, size: int = 4, percent: int = 85) -> DataFr
 
 
 def one_per_component(docs: DataFrame, size: int = 4, percent: int = 85) -> DataFrame:
-    """The row of each component's smallest doc_id, with docs' columns; rows with a null doc_id stay."""
-    from pyspark.sql import Window
+    """The row of each component's smallest doc_id (a null one last), with docs' columns, whatever their names.
 
-    keep = join_components(docs, size, percent).where("doc_id = component_id").select(F.col("doc_id").alias("_id")).distinct()
-    first = F.row_number().over(Window.partitionBy("_id").orderBy("_id"))
-    there = docs.join(keep, F.col("doc_id") == F.col("_id")).withColumn("_first", first).where("_first = 1")
-    return there.select(*docs.columns).unionByName(docs.where("doc_id is null"))
+    Rows that share a doc_id, or have none, are documents of their own by text; where they tie, the smallest hash of the
+    text stays. Of rows equal in doc_id and text one stays: the one with the smallest hash of all columns. Texts without
+    words link with nothing and stay; an empty table gives none.
+    """
+    own = docs.select("doc_id", "text")
+    several = storage.saved(own.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 or doc_id is null").select("doc_id"), "repeated_ids")
+    whole = docs.select(storage.packed(docs), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    version = F.xxhash64(F.col("doc_id").isNull(), "doc_id", F.col("text").isNull(), "text")
+    if several.isEmpty():
+        rows = whole.withColumn("node", F.col("doc_id"))
+    else:
+        again = several.select(F.col("doc_id").alias("id"), F.lit(True).alias("again"))
+        rows = whole.join(again, F.col("doc_id").eqNullSafe(F.col("id")), "left").withColumn("node", F.when(F.col("again"), version).otherwise(F.col("doc_id"))).drop("id", "again")
+        rows = storage.saved(rows, "nodes")
+    found = join_components(rows.select(F.col("node").alias("doc_id"), "text"), size, percent).select(F.col("doc_id").alias("node"), "component_id").distinct()
+    named = rows.select("node", "doc_id").distinct().join(found, "node")
+    keep = named.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "node"))["node"].alias("node")).select("node")
+    there = rows.join(keep, "node", "left_semi")
+    if several.isEmpty():
+        return there.select("row.*")
+    # only rows that are equal in doc_id and text share a node
+    parts = F.struct(F.xxhash64(F.to_json("row")).alias("hash"), "row")
+    return there.groupBy("node").agg(F.min_by("row", parts["hash"]).alias("row")).select("row.*")
