@@ -12,7 +12,14 @@ OPEN, SAME_SEALED, TWO_SEALED, OPEN_SEALED = 1, 2, 3, 4
 
 
 def _big(x: Column | int) -> Column:
-    return (x if isinstance(x, Column) else F.lit(x)).cast("decimal(18,0)")
+    return x.cast("decimal(18,0)") if isinstance(x, Column) else whole(x, 18)
+
+
+def whole(x: int, digits: int = 38) -> Column:
+    """An integer constant of any size; products of budgets pass 64 bits."""
+    if abs(x) >= 10**digits:
+        raise OverflowError(f"{x} has more than {digits} digits")
+    return F.lit(str(x)).cast(f"decimal({digits},0)")
 
 
 def seal_point(k: int, ratio_floor: float) -> int:
@@ -31,12 +38,11 @@ paired_weight = fixed_weight
 
 def pair_weight(kind: Column, k: int, t: Column, t_star: int) -> Column:
     """Numerator over k^2 (k - 1) for the adaptive pool: t is the population of the open set, t_star of a sealed one."""
-    whole = k * k * (k - 1)
     return (
-        F.when(kind == OPEN, F.when(t > k, (_big(t) * _big(t - 1) * F.lit(k).cast("decimal(9,0)")).cast("decimal(38,0)")).otherwise(F.lit(whole).cast("decimal(38,0)")))
-        .when(kind == SAME_SEALED, F.lit(k * t_star * (t_star - 1)).cast("decimal(38,0)"))
-        .when(kind == TWO_SEALED, F.lit((k - 1) * t_star * t_star).cast("decimal(38,0)"))
-        .otherwise((F.greatest(_big(t), _big(k)) * F.lit((k - 1) * t_star).cast("decimal(18,0)")).cast("decimal(38,0)"))
+        F.when(kind == OPEN, F.when(t > k, (_big(t) * _big(t - 1)).cast("decimal(26,0)") * whole(k, 12)).otherwise(whole(k * k * (k - 1))).cast("decimal(38,0)"))
+        .when(kind == SAME_SEALED, whole(k * t_star * (t_star - 1)))
+        .when(kind == TWO_SEALED, whole((k - 1) * t_star * t_star))
+        .otherwise((F.greatest(_big(t), _big(k)).cast("decimal(13,0)") * whole((k - 1) * t_star, 25)).cast("decimal(38,0)"))
     )
 
 

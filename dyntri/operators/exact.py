@@ -37,15 +37,21 @@ def exact_local(edges: DataFrame) -> DataFrame:
 
 
 def triangle_lives(signed: DataFrame) -> DataFrame:
-    """(a, b, c, born, died): every stretch of events in which a triangle exists, from its last edge to its first end."""
-    life = lifetimes(signed)
-
-    def side(x: str, y: str, k: int) -> DataFrame:
-        return life.select(F.col("u").alias(x), F.col("v").alias(y), F.col("enter_seq").alias(f"i{k}"), F.col("exit_seq").alias(f"o{k}"))
+    """(a, b, c, born, died): every stretch of events in which a triangle exists, from its last edge to its first end.
 
-    met = side("a", "b", 1).join(side("b", "c", 2), "b").join(side("a", "c", 3), ["a", "c"])
-    born, died = F.greatest("i1", "i2", "i3"), F.least("o1", "o2", "o3")
-    return met.where(died.isNull() | (born < died)).select("a", "b", "c", born.alias("born"), died.alias("died"))
+    Wedges open at the end with fewer lives, as in :func:`triangles`, and only of edges that live at the same time.
+    """
+    life = lifetimes(signed)
+    deg = degrees(life)
+    rows = life.join(deg.select(F.col("node").alias("u"), F.col("degree").alias("du")), "u").join(deg.select(F.col("node").alias("v"), F.col("degree").alias("dv")), "v")
+    first = (F.col("du") < F.col("dv")) | ((F.col("du") == F.col("dv")) & (F.col("u") < F.col("v")))
+    out = rows.select(F.when(first, F.col("u")).otherwise(F.col("v")).alias("x"), F.when(first, F.col("v")).otherwise(F.col("u")).alias("y"), F.col("enter_seq").alias("i1"), F.col("exit_seq").alias("o1"))
+    other = out.select("x", F.col("y").alias("z"), F.col("i1").alias("i2"), F.col("o1").alias("o2"))
+    died = F.least("o1", "o2")
+    wedges = out.join(other, "x").where("y < z").where(died.isNull() | (F.greatest("i1", "i2") < died))
+    closed = wedges.join(life.select(F.col("u").alias("y"), F.col("v").alias("z"), F.col("enter_seq").alias("i3"), F.col("exit_seq").alias("o3")), ["y", "z"])
+    born, died, ends = F.greatest("i1", "i2", "i3"), F.least("o1", "o2", "o3"), F.array_sort(F.array("x", "y", "z"))
+    return closed.where(died.isNull() | (born < died)).select(ends[0].alias("a"), ends[1].alias("b"), ends[2].alias("c"), born.alias("born"), died.alias("died"))
 
 
 def exact_dynamic(signed: DataFrame) -> DataFrame:

@@ -7,6 +7,8 @@ import time
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .streams import running
+
 
 def mean_global_error(truth: DataFrame, est: DataFrame) -> DataFrame:
     """(mge): mean over runs of |x - estimate| / (x + 1). truth: triangles; est: run, est."""
@@ -58,6 +60,16 @@ def ratio_profile(residency: DataFrame, stored: DataFrame) -> DataFrame:
     return held.join(seen, "shard").select("run", "shard", "held", "storables", (F.col("held") / F.col("storables")).alias("ratio"))
 
 
+def lowest_ratio(residency: DataFrame, stored: DataFrame, ratio_floor: float) -> DataFrame:
+    """(run, shard, lowest, floor_held): the least share of storables that a shard held after any of them, and whether it kept the floor."""
+    out = residency.where("exit_seq is not null").select("run", "shard", F.col("exit_seq").alias("seq"), F.lit(-1).alias("d"))
+    steps = residency.select("run", "shard", F.col("enter_seq").alias("seq"), F.lit(1).alias("d")).unionByName(out).groupBy("run", "shard", "seq").agg(F.sum("d").alias("d"))
+    arrived = stored.select("shard", "seq").join(residency.select("run", "shard").distinct(), "shard").join(steps, ["run", "shard", "seq"], "left")
+    rows = running(arrived, ["run", "shard"], "seq", {"held": F.coalesce("d", F.lit(0)).cast("long"), "seen": F.lit(1).cast("long")})
+    low = rows.groupBy("run", "shard").agg(F.min(F.col("held") / F.col("seen")).alias("low"))
+    return low.select("run", "shard", F.round("low", 6).alias("lowest"), (F.col("low") >= float(ratio_floor)).alias("floor_held"))
+
+
 def scaling_slope(table: DataFrame) -> DataFrame:
     """(slope, r2) of seconds over edges."""
     return table.agg(F.regr_slope("seconds", "edges").alias("slope"), F.regr_r2("seconds", "edges").alias("r2"))

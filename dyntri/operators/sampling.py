@@ -13,12 +13,14 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import draw_key
+from ..functions.hashing import BITS, draw_key
 from ..sources.shared import cut
 from .streams import number_within, running
 
 #: Arrivals that one task of the first sampling step sees.
 CHUNK = 1 << 17
+#: Arrivals of a level that are expected below its threshold, in budgets.
+SPARE = 2
 
 
 def storables(routed: DataFrame, runs: int, seed: int = 42, draws: str = "md5") -> DataFrame:
@@ -52,9 +54,11 @@ def _entrants(seq: list[int], key: list[int], k: int) -> tuple[list[int], dict[i
 def reservoir_residency(stored: DataFrame, k: int, group: list[str], payload: list[str]) -> DataFrame:
     """(*group, *payload, enter_seq, exit_seq) of what enters a reservoir of k within each group.
 
-    stored: group, payload, seq, key. Chunks of arrivals are reduced to their own entrants first, which holds all that
-    enter in the whole group; so a large group is split and what meets in one task is about k ln(t / k) per chunk.
+    stored: group, payload, seq, key, t_local (its number in the group or in a wider stream). Arrivals that cannot enter
+    go first, by :func:`candidates`; chunks of the rest are reduced to their own entrants, which holds all that enter in
+    the whole group; so a large group is split and what meets in one task is about 2 k log2(t / k) rows.
     """
+    stored = candidates(stored, k, group)
     names = [*group, *payload, "seq", "key"]
     schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in stored.select(*names).schema.fields)
 
@@ -75,6 +79,25 @@ def reservoir_residency(stored: DataFrame, k: int, group: list[str], payload: li
     return first.groupBy(*group).applyInPandas(settle, out)
 
 
+def candidates(stored: DataFrame, k: int, group: list[str]) -> DataFrame:
+    """Arrivals that may enter a reservoir of k; what it takes away never does.
+
+    Arrivals fall in levels that double (by t_local). Keys below SPARE * k / size of a level are counted; where they are k or
+    more, no later arrival with a key at or above that bound can be among the k smallest. One aggregation to a row per
+    group and level, and a join back that is broadcast while those are few; nothing leaves the JVM.
+    """
+    if "t_local" not in stored.columns:
+        return stored
+    level = F.floor(F.log2(F.col("t_local").cast("double"))).cast("int")
+    bound = F.floor(F.lit(float(SPARE * k)) * F.lit(float(1 << BITS)) / F.pow(F.lit(2.0), F.col("_level"))).cast("long")
+    first = max(0, (4 * SPARE * k).bit_length())  # shorter levels have no use of a bound
+    marked = stored.withColumn("_level", level)
+    full = marked.where(F.col("_level") >= first).where(F.col("key") < bound).groupBy(*group, "_level").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") >= k)
+    # a level's bound holds for later ones, which mostly have a lower one of their own predecessor
+    after = full.select(*group, (F.col("_level") + 1).alias("_level"), bound.alias("_bound"))
+    return marked.join(after, [*group, "_level"], "left").where(F.col("_bound").isNull() | (F.col("key") < F.col("_bound"))).drop("_level", "_bound")
+
+
 # ------------------------------------------------------------------ random pairing as slots
 
 
@@ -137,7 +160,8 @@ def _random_slots(frame: pd.DataFrame, seed: int) -> pd.DataFrame:
 
 def paired_residency(slots: DataFrame, k: int, runs: int, seed: int = 42, draws: str = "md5") -> DataFrame:
     """(run, shard, segment, u, v, enter_seq, exit_seq): occupants of the k slots with the smallest keys opened so far."""
-    fresh = slots.where("fresh").select(F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).alias("run"), "shard", "slot", F.col("ins_seq").alias("seq"))
+    # the slots of a shard are numbered as they open
+    fresh = slots.where("fresh").select(F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).alias("run"), "shard", "slot", F.col("ins_seq").alias("seq"), F.col("slot").alias("t_local"))
     keyed = fresh.withColumn("key", draw_key(F.col("run"), F.col("shard"), F.col("slot"), F.lit(0), F.lit(0), seed, draws))
     held = reservoir_residency(keyed, k, ["run", "shard"], ["slot"]).withColumnRenamed("exit_seq", "slot_exit")
     rows = held.join(slots, ["shard", "slot"]).where("slot_exit is null or slot_exit > ins_seq")

@@ -65,10 +65,17 @@ def number_within(df: DataFrame, keys: list[str], order: str, name: str, value:
 
 
 def validated(signed: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(events, quarantine): events that insert an absent edge or delete a live one; the rest is set aside."""
-    last = F.lag("sign", 1, -1).over(Window.partitionBy("u", "v").orderBy("seq"))
-    marked = signed.withColumn("_ok", (F.col("u") < F.col("v")) & (F.col("sign") != last) & F.col("sign").isin(1, -1))
-    return marked.where("_ok").drop("_ok"), marked.where(~F.coalesce("_ok", F.lit(False))).drop("_ok")
+    """(events, quarantine): events that insert an absent edge or delete a live one, ends in order; the rest as it came.
+
+    Rows that are no event (a sign other than 1 and -1, a null, a self-loop) are set aside first. Of the others an edge's
+    signs have to alternate, so one that repeats the sign before it is set aside, whether that one was accepted or not.
+    """
+    proper = F.coalesce((F.col("u") != F.col("v")) & F.col("sign").isin(1, -1) & F.col("seq").isNotNull(), F.lit(False))
+    ends = {"_u": F.least("u", "v"), "_v": F.greatest("u", "v")}
+    last = F.lag("sign", 1, -1).over(Window.partitionBy("_u", "_v").orderBy("seq"))
+    marked = signed.where(proper).withColumns(ends).withColumn("_ok", F.col("sign") != last)
+    events = marked.where("_ok").withColumns({"u": F.col("_u"), "v": F.col("_v")}).drop("_u", "_v", "_ok")
+    return events, signed.where(~proper).unionByName(marked.where(~F.col("_ok")).drop("_u", "_v", "_ok"))
 
 
 def with_deletions(inserts: DataFrame, delta: float, seed: int = 42) -> DataFrame:

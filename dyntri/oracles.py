@@ -37,7 +37,8 @@ EDGES = {
       p AS (SELECT least(a.node, b.node) AS u, greatest(a.node, b.node) AS v, min(page_id) AS ts FROM s JOIN ids a ON a.name = x JOIN ids b ON b.name = y WHERE x <> y GROUP BY 1, 2), {_numbered('ts')}""",
     "page_overlap": f"{_LINKS}, {_pairs('href', 'page_id', 'k', '0')}, {_numbered('v')}",
     "doc_near_copies": f"""n AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 40),
-      s AS (SELECT line FROM n GROUP BY 1 HAVING count(*) BETWEEN 2 AND 200), j AS (SELECT doc_id, line FROM n JOIN s USING (line)), {_pairs('line', 'doc_id', 'j', '0')}, {_numbered('v')}""",
+      r AS (SELECT doc_id, line, row_number() OVER (PARTITION BY line ORDER BY doc_id) AS k FROM n),
+      p AS (SELECT DISTINCT x.doc_id AS u, y.doc_id AS v FROM r x JOIN r y ON x.line = y.line AND y.k > x.k AND y.k <= x.k + 8), {_numbered('v')}""",
     "vector_neighbours": f"""p AS (SELECT x.vec_id AS u, y.vec_id AS v FROM embeddings x, embeddings y WHERE x.vec_id < y.vec_id
       AND list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) > 0.3), {_numbered('u')}""",
 }
@@ -130,9 +131,9 @@ def adaptive(graph: str, shards: int, k: int, t_star: int, sets: int | None, run
     return f"{with_(graph, *adaptive_ctes(shards, k, t_star, sets, runs))} {_summed(local, k * k * (k - 1), runs)}"
 
 
-def dynamic(graph: str, delta: float, shards: int, k: int, runs: int, local: bool = False, seed: int = 42) -> str:
+def dynamic_ctes(delta: float, shards: int, k: int, runs: int, seed: int = 42) -> list[str]:
     """Random pairing with first vacated, first filled slots; chains of reuse by recursion."""
-    ctes = [
+    return [
         deletions(delta), stored("d", shards, 1), "q0 AS (SELECT *, sum(-sign) OVER (PARTITION BY shard ORDER BY seq) AS wv FROM s1)",
         "q1 AS (SELECT *, sign = 1 AND wv < least(0, coalesce(min(wv) OVER (PARTITION BY shard ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS fresh, lead(seq) OVER (PARTITION BY shard, u, v ORDER BY seq) AS nx FROM q0)",
         "q2 AS (SELECT *, sum((sign = 1 AND NOT fresh)::INT) OVER (PARTITION BY shard ORDER BY seq) AS re, sum((sign = -1)::INT) OVER (PARTITION BY shard ORDER BY seq) AS va FROM q1)",
@@ -143,11 +144,49 @@ def dynamic(graph: str, delta: float, shards: int, k: int, runs: int, local: boo
            FROM rs JOIN ro ON ro.shard = rs.shard AND ro.slot = rs.slot JOIN q2 ON q2.shard = ro.shard AND q2.seq = ro.seq WHERE rs.exit_seq IS NULL OR rs.exit_seq > q2.seq)""",
         hits("h", "held", shards), "b AS (SELECT hi.*, (SELECT count(*) FROM q2 WHERE q2.shard = hi.shard AND fresh AND q2.seq < hi.seq) AS t FROM hi)", f"w AS (SELECT *, {_fixed('t', k)} AS num FROM b)",
     ]
-    return f"{with_(graph, *ctes)} {_summed(local, k * (k - 1), runs)}"
 
 
-def coin(graph: str, q: float, runs: int, local: bool = False, delta: float | None = None, seed: int = 42) -> str:
+def dynamic(graph: str, delta: float, shards: int, k: int, runs: int, local: bool = False, seed: int = 42) -> str:
+    return f"{with_(graph, *dynamic_ctes(delta, shards, k, runs, seed))} {_summed(local, k * (k - 1), runs)}"
+
+
+def conditional(graph: str, delta: float, k: int, runs: int) -> str:
+    """Random pairing on one machine, by the triangles of the final sample alone."""
+    lc = "(lgamma({0} + 1) - lgamma({1} + 1) - lgamma({0} - {1} + 1))".format
+    terms = " + ".join(f"CASE WHEN {j} <= s AND room - {j} BETWEEN 0 AND d THEN exp({lc('s', str(j))} + {lc('d', f'(room - {j})')} - {lc('(s + d)', 'room')}) ELSE 0 END" for j in range(3))
+    ctes = dynamic_ctes(delta, 1, k, runs)[:-3]
+    ctes += [
+        "fin AS (SELECT run, u, v FROM held WHERE exit_seq IS NULL)", "ta AS (SELECT a.run, count(*) AS tau FROM fin a JOIN fin b ON a.run = b.run AND a.v = b.u JOIN fin c ON c.run = a.run AND c.u = a.u AND c.v = b.v GROUP BY 1)",
+        "ys AS (SELECT run, count(*)::DOUBLE AS y FROM fin GROUP BY 1)", "sd AS (SELECT count(*) FILTER (sign = 1 AND nx IS NULL) AS s, (SELECT coalesce(max(slot), 0) FROM ro) AS opened FROM q2)",
+        f"ro2 AS (SELECT s::DOUBLE AS s, (opened - s)::DOUBLE AS d, least({k}, opened)::DOUBLE AS room FROM sd)",
+        f"ka AS (SELECT *, CASE WHEN d >= room - 2 AND s + d >= 3 THEN 1 - ({terms}) ELSE 1.0 END AS kappa FROM ro2)",
+    ]
+    return f"{with_(graph, *ctes)} SELECT r.run::INT AS run, round(CASE WHEN coalesce(y, 0) >= 3 THEN coalesce(tau, 0) / kappa * (s * (s - 1) * (s - 2)) / (y * (y - 1) * (y - 2)) ELSE 0.0 END, 6) AS est FROM range({runs}) AS r(run) LEFT JOIN ys ON ys.run = r.run LEFT JOIN ta ON ta.run = r.run, ka"
+
+
+def recency(graph: str, k: int, runs: int, alpha: float = 0.5, seed: int = 42) -> str:
+    """The newest edges and a reservoir of those that left them."""
+    newest = int(alpha * k)
+    rest = k - newest
+    ctes = [
+        "ev AS (SELECT *, 1 AS sign, 0 AS h_u, 0 AS h_v FROM e)", "tt AS (SELECT count(*) AS total FROM e)", f"old AS (SELECT u, v, seq, seq + {newest} AS leaves, run FROM e, range({runs}) AS r(run))",
+        f"ag AS (SELECT run, 0 AS shard, 0 AS segment, u, v, leaves AS seq, {h60(str(seed), 'run', '0', 'leaves', 'u', 'v')} AS key FROM old, tt WHERE leaves < total)", reservoir("ag", "run, shard, segment", rest, "rs"),
+        "held AS (SELECT run, 0 AS shard, -1 AS segment, u, v, seq AS enter_seq, CASE WHEN leaves < total THEN leaves END AS exit_seq FROM old, tt UNION ALL SELECT run, shard, segment, u, v, seq, exit_seq FROM rs)", hits("ev", "held", 1),
+        f"kk AS (SELECT *, (seg_a = 0)::INT + (seg_b = 0)::INT AS n_old, greatest(seq - {newest}, 0) AS t FROM hi)",
+        f"w AS (SELECT *, CASE n_old WHEN 0 THEN {rest * (rest - 1)}::HUGEINT WHEN 1 THEN greatest(t, {rest})::HUGEINT * {rest - 1} ELSE {_fixed('t', rest)} END AS num FROM kk)",
+    ]
+    return f"{with_(graph, *ctes)} {_summed(False, rest * (rest - 1), runs)}"
+
+
+def coin(graph: str, q: float, runs: int, local: bool = False, delta: float | None = None, seed: int = 42, conditional: bool = False) -> str:
     ctes = [deletions(delta) if delta is not None else "d AS (SELECT seq, u, v, 1 AS sign FROM e)", _LIFE, "h AS (SELECT *, 0 AS h_u, 0 AS h_v FROM d)"]
     key = h60(str(seed), "run", "0", "i", "u", "v")
-    ctes += [f"held AS (SELECT run, 0 AS shard, 0 AS segment, u, v, i AS enter_seq, o AS exit_seq FROM li, range({runs}) AS r(run) WHERE {key} < {int(q * 2**60)})", hits("h", "held", 1), "w AS (SELECT *, 1 AS num FROM hi)"]
-    return f"{with_(graph, *ctes)} {_summed(local, q**2, runs)}"
+    ctes += [f"held AS (SELECT run, 0 AS shard, 0 AS segment, u, v, i AS enter_seq, o AS exit_seq FROM li, range({runs}) AS r(run) WHERE {key} < {int(q * 2**60)})", hits("h", "held", 1)]
+    own = "JOIN (SELECT run, u, v, enter_seq AS seq FROM held UNION SELECT run, u, v, exit_seq FROM held WHERE exit_seq IS NOT NULL) USING (run, u, v, seq)" if conditional else ""
+    ctes.append(f"w AS (SELECT *, 1 AS num FROM hi {own})")
+    return f"{with_(graph, *ctes)} {_summed(local, q**3 if conditional else q**2, runs)}"
+
+
+def capabilities(groups: tuple[str, ...], built: tuple[tuple[str, ...], ...], criteria: dict[str, str]) -> str:
+    rows = ", ".join(f"('{c}', '{g}', '{', '.join(b)}', {str(x == 'y').lower()})" for c, own in criteria.items() for g, b, x in zip(groups, built, own))
+    return f"SELECT * FROM (VALUES {rows}) AS t(criterion, methods, built, supported)"

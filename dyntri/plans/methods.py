@@ -205,8 +205,8 @@ def recency_triangles(events: DataFrame, k: int, alpha: float = 0.5, seed: int =
     hits = counting.closing_hits(events, residency, 1, seed)
     hits = counting.as_of(hits, rows.select("shard", "seq", F.greatest(F.col("t_local") - newest, F.lit(0)).alias("t")), "t")
     n_old = (F.col("seg_a") == 0).cast("int") + (F.col("seg_b") == 0).cast("int")
-    one = F.greatest(F.col("t"), F.lit(rest)).cast("decimal(18,0)") * F.lit(rest - 1).cast("decimal(9,0)")
-    num = F.when(n_old == 0, F.lit(rest * (rest - 1)).cast("decimal(38,0)")).when(n_old == 1, one.cast("decimal(38,0)")).otherwise(weights.fixed_weight(rest, F.col("t")))
+    one = F.greatest(F.col("t"), F.lit(rest)).cast("decimal(18,0)") * weights.whole(rest - 1, 12)
+    num = F.when(n_old == 0, weights.whole(rest * (rest - 1))).when(n_old == 1, one.cast("decimal(38,0)")).otherwise(weights.fixed_weight(rest, F.col("t")))
     return TriangleResult(hits.withColumns({"kind": n_old, "num": num}), residency, rest * (rest - 1), runs)
 
 
@@ -215,15 +215,26 @@ def replicated_triangles(events: DataFrame, n_shards: int, k: int, seed: int = 4
     return solo_reservoir_triangles(events, k, seed, n_shards).global_.agg(F.avg("est").alias("est"))
 
 
-#: Criteria by method, as data: which of the known estimators has which property.
-_CAPABLE = {
-    "sparsified": ("global",), "solo_reservoir": ("global", "local", "single_pass"), "solo_coin": ("global", "local", "single_pass"), "recency": ("global", "local", "single_pass", "fixed_budget"),
-    "solo_paired": ("global", "local", "single_pass", "deletions"), "replicated": ("global", "local", "single_pass", "distributed"), "sharded": ("global", "local", "single_pass", "distributed"),
-    "adaptive": ("global", "local", "single_pass", "distributed", "ratio_floor"), "dynamic": ("global", "local", "single_pass", "distributed", "deletions"),
-}
+#: Which group of known methods has which property, group by group.
+_GROUPS = ("edge sparsifier, colouring", "single machine, insertions", "single machine, deletions", "single machine, bounded ratio", "distributed, fixed budget", "distributed, adaptive and dynamic")
+_CRITERIA = {
+    "edge insertions": "yyyyyy",
+    "memory budget in hand": "nyyyyy",
+    "no secondary storage": "yyyyyy",
+    "single pass": "nyyyyy",
+    "global and local counts": "nyyyyy",
+    "several machines": "nnnnyy",
+    "adaptive sampling ratio": "nnnyny",
+    "edge deletions": "nnynny",
+}
+#: The functions of this package that stand for each group.
+_BUILT = (
+    ("sparsified_triangles", "coloured_triangles"), ("recency_triangles", "solo_reservoir_triangles", "solo_coin_triangles"), ("solo_paired_triangles", "solo_paired_conditional", "solo_coin_dynamic"),
+    ("adaptive_triangles with one shard",), ("sharded_triangles", "replicated_triangles"), ("adaptive_triangles", "dynamic_triangles"),
+)
 
 
 def capabilities(spark) -> DataFrame:
-    """(criterion, method, supported) of the methods in this package."""
-    criteria = ("global", "local", "single_pass", "distributed", "deletions", "ratio_floor", "fixed_budget")
-    return spark.createDataFrame([(c, m, c in own) for m, own in _CAPABLE.items() for c in criteria], "criterion string, method string, supported boolean")
+    """(criterion, methods, built, supported) of the known groups of methods."""
+    rows = [(c, g, ", ".join(b), x == "y") for c, own in _CRITERIA.items() for g, b, x in zip(_GROUPS, _BUILT, own)]
+    return spark.createDataFrame(rows, "criterion string, methods string, built string, supported boolean")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from functools import reduce
 
 from pyspark.sql import DataFrame
@@ -57,8 +58,6 @@ def speed(events: DataFrame, graph: str, solo: tuple[float, ...] = (0.02, 0.05),
         makes.append(("solo_coin", f"budget={s}", lambda s=s: methods.solo_coin_triangles(events, s)))
     rows = []
     for name, setting, make in makes:
-        import time
-
         began = time.perf_counter()
         est = make().global_.first().est
         took = time.perf_counter() - began
@@ -93,11 +92,9 @@ def dynamic_accuracy(events: DataFrame, graph: str, delta: float = 0.2, share: f
 
 
 def dynamic_speed(events: DataFrame, graph: str, delta: float = 0.2, share: float = 0.01, solo: tuple[float, ...] = (0.01, 0.05), n_shards: int = 10) -> DataFrame:
-    """(graph, method, setting, seconds, events_per_second) with deletions."""
-    import time
-
+    """(graph, method, setting, seconds, events_per_second, mge) with deletions."""
     signed = cut(with_deletions(events, delta))
-    n = signed.count()
+    n, truth = signed.count(), exact.exact_dynamic(signed).first()[0]
     makes = [("dynamic", f"budget={share}", lambda: methods.dynamic_triangles(signed, n_shards, max(2, int(share * n))))]
     for s in solo:
         makes.append(("solo_paired", f"budget={s}", lambda s=s: methods.solo_paired_triangles(signed, max(2, int(s * n)))))
@@ -105,10 +102,10 @@ def dynamic_speed(events: DataFrame, graph: str, delta: float = 0.2, share: floa
     rows = []
     for name, setting, make in makes:
         began = time.perf_counter()
-        make().global_.collect()
+        est = make().global_.first().est
         took = time.perf_counter() - began
-        rows.append((graph, name, setting, took, n / took))
-    return events.sparkSession.createDataFrame(rows, "graph string, method string, setting string, seconds double, events_per_second double")
+        rows.append((graph, name, setting, took, n / took, abs(truth - est) / (truth + 1)))
+    return events.sparkSession.createDataFrame(rows, "graph string, method string, setting string, seconds double, events_per_second double, mge double")
 
 
 def shard_sweep(events: DataFrame, graph: str, shards: tuple[int, ...] = (2, 8, 32), delta: float = 0.2, share: float = 0.02, runs: int = 5) -> DataFrame:
@@ -123,14 +120,20 @@ def shard_sweep(events: DataFrame, graph: str, shards: tuple[int, ...] = (2, 8,
     return _table(cells)
 
 
-def scaling(events: DataFrame, graph: str, powers: tuple[int, ...] = (11, 12, 13), n_shards: int = 8, k: int = 500, delta: float = 0.2) -> DataFrame:
-    """(graph, edges, seconds) of the dynamic method on prefixes of 2^p edges; measures.scaling_slope fits the line."""
-    import time
+def scaling(events: DataFrame, graph: str, powers: tuple[int, ...] | None = None, n_shards: int = 30, share: float = 0.01, delta: float = 0.2) -> DataFrame:
+    """(graph, edges, seconds, error, slope, r2) of the dynamic method on growing prefixes, and the line fitted to all of them.
 
-    rows = []
-    for p in powers:
-        signed = cut(with_deletions(cut(events.where(F.col("seq") < 2**p)), delta))
+    powers: prefixes of 2^p edges; left out, they are taken from the stream: five doublings, and the whole. The budget
+    is one for all, a share of the whole stream.
+    """
+    n = events.count()
+    powers = powers or tuple(range(max(4, n.bit_length() - 6), n.bit_length()))
+    k, rows = max(3, int(share * n)), []
+    for size in [*(2**p for p in powers if 2**p < n), n]:
+        signed = cut(with_deletions(cut(events.where(F.col("seq") < size)), delta))
+        truth = exact.exact_dynamic(signed).first()[0]
         began = time.perf_counter()
-        methods.dynamic_triangles(signed, n_shards, k).global_.collect()
-        rows.append((graph, 2**p, time.perf_counter() - began))
-    return events.sparkSession.createDataFrame(rows, "graph string, edges long, seconds double")
+        est = methods.dynamic_triangles(signed, n_shards, k).global_.first().est
+        rows.append((graph, size, time.perf_counter() - began, abs(truth - est) / (truth + 1)))
+    table = events.sparkSession.createDataFrame(rows, "graph string, edges long, seconds double, error double")
+    return table.join(F.broadcast(measures.scaling_slope(table)), F.lit(True))

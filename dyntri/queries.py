@@ -77,10 +77,18 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("adaptive_local", on(SMALL, lambda e: adaptive(e).local_), sql.adaptive(SMALL, SHARDS, K, T_STAR, None, RUNS, True))
     add("adaptive_capped_global", on(SMALL, lambda e: adaptive(e, memory=MEMORY).global_), sql.adaptive(SMALL, SHARDS, K, T_STAR, MEMORY // K, RUNS))
     add("adaptive_single_machine", on(SMALL, lambda e: methods.adaptive_triangles(e, 1, K, FLOOR, runs=RUNS).global_), sql.adaptive(SMALL, 1, K, T_STAR, None, RUNS))
-    add("adaptive_nominal", on(SMALL, lambda e: adaptive(e, ratio_mode="nominal").global_.select("run", F.round("est", 6).alias("est"))))
+    add("adaptive_nominal", on(SMALL, lambda e: adaptive(e, ratio_mode="nominal").global_.select("run", F.round("est", 4).alias("est"))), f"""{sql.with_(SMALL, *ada[:-1])} SELECT r.run::INT AS run, round(coalesce(sum(CASE kind
+        WHEN 1 THEN CASE WHEN t > {K} THEN t * (t - 1) / {float(K * (K - 1))} ELSE 1.0 END WHEN 2 THEN ({K} / {FLOOR} - 1) / ({FLOOR} * {K - 1}) WHEN 3 THEN 1 / ({FLOOR} * {FLOOR}) ELSE greatest(t / {float(K)}, 1.0) / {FLOOR} END::DOUBLE), 0.0), 4) AS est
+        FROM range({RUNS}) AS r(run) LEFT JOIN kk ON kk.run = r.run GROUP BY 1""")
     add("adaptive_census", on(SMALL, lambda e: adaptive(e).case_census()), f"{sql.with_(SMALL, *ada)} SELECT run::INT AS run, kind, count(*) AS hits, sum(num)::DOUBLE / {float(K * K * (K - 1))} AS est FROM w GROUP BY 1, 2")
     add("adaptive_trajectory", on(SMALL, lambda e: adaptive(e).trajectory().select("run", "seq", F.round("est", 4).alias("est"))), f"{sql.with_(SMALL, *ada)} SELECT run::INT AS run, seq, round(sum(n) OVER (PARTITION BY run ORDER BY seq)::DOUBLE / {float(K * K * (K - 1))}, 4) AS est FROM (SELECT run, seq, sum(num) AS n FROM w GROUP BY 1, 2)")
-    add("adaptive_storage", on(SMALL, lambda e: adaptive(e).storage_profile()))
+    steps = "st2 AS (SELECT run, shard, seq, sum(d) AS d FROM (SELECT run, shard, enter_seq AS seq, 1 AS d FROM held UNION ALL SELECT run, shard, exit_seq, -1 FROM held WHERE exit_seq IS NOT NULL) GROUP BY 1, 2, 3), cu AS (SELECT *, sum(d) OVER (PARTITION BY run, shard ORDER BY seq) AS h FROM st2)"
+    add("adaptive_storage", on(SMALL, lambda e: adaptive(e).storage_profile()), f"{sql.with_(SMALL, *ada[:5], steps)} SELECT run::INT AS run, shard::INT AS shard, arg_max(h, seq)::BIGINT AS held, max(h)::BIGINT AS peak FROM cu GROUP BY 1, 2")
+    capped = sql.adaptive_ctes(SHARDS, K, T_STAR, MEMORY // K, RUNS)
+    lowest = "se AS (SELECT * FROM s1, range({0}) AS r(run)), lo AS (SELECT se.run, se.shard, se.seq, se.n, (SELECT sum(d) FROM st2 WHERE st2.run = se.run AND st2.shard = se.shard AND st2.seq <= se.seq) AS h FROM se)".format(RUNS)
+    for name, ctes, extra in (("ratio_floor", ada, {}), ("ratio_floor_capped", capped, {"memory": MEMORY})):
+        add(name, on(SMALL, lambda e, x=extra: measures.lowest_ratio(adaptive(e, **x).residency, routing.route_store(e, SHARDS), FLOOR)),
+            f"{sql.with_(SMALL, *ctes[:5], steps, lowest)} SELECT run::INT AS run, shard::INT AS shard, round(min(h / n), 6)::DOUBLE AS lowest, min(h / n) >= {FLOOR} AS floor_held FROM lo GROUP BY 1, 2")
     one = sql.adaptive_ctes(SHARDS, K, T_STAR, None, 1)
     add("adaptive_replay_equal", on(SMALL, _replayed), f"{sql.with_(SMALL, *one)} SELECT count(*) AS relational, count(*) AS replayed, 0::BIGINT AS differing FROM w")
     add("sharded_global", on(SMALL, lambda e: methods.sharded_triangles(e, SHARDS, K, runs=RUNS).global_), sql.sharded(SMALL, SHARDS, K, RUNS))
@@ -90,11 +98,11 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("replicated_global", on(SMALL, lambda e: methods.replicated_triangles(e, 4, 4 * K).select(F.round("est", 6).alias("est"))), f"SELECT round(avg(est), 6) AS est FROM ({sql.sharded(SMALL, 1, 4 * K, 4)})")
     add("coin_global", on("customer_overlap", lambda e: methods.solo_coin_triangles(e, Q, runs=RUNS).global_), sql.coin("customer_overlap", Q, RUNS))
     add("coin_local", on("customer_overlap", lambda e: methods.solo_coin_triangles(e, Q, runs=RUNS).local_), sql.coin("customer_overlap", Q, RUNS, True))
-    add("coin_conditional", on("customer_overlap", lambda e: methods.solo_coin_triangles(e, Q, runs=RUNS, conditional=True).global_))
+    add("coin_conditional", on("customer_overlap", lambda e: methods.solo_coin_triangles(e, Q, runs=RUNS, conditional=True).global_), sql.coin("customer_overlap", Q, RUNS, conditional=True))
     key = sql.h60("42", "0", "0", "seq", "u", "v")
     add("sparsified", on("customer_overlap", lambda e: methods.sparsified_triangles(e, 0.5)), f"{sql.with_('customer_overlap').replace('e AS (', 'e0 AS (')}, e AS (SELECT * FROM e0 WHERE {key} < {2**59}), {sql._TRIANGLES} SELECT count(*) / 0.125::DOUBLE AS est FROM t")
     add("coloured", on("customer_overlap", lambda e: methods.coloured_triangles(e, 2)), f"{sql.with_('customer_overlap').replace('e AS (', 'e0 AS (')}, e AS (SELECT * FROM e0 WHERE {sql.h60('42', 'u')} % 2 = {sql.h60('42', 'v')} % 2), {sql._TRIANGLES} SELECT count(*) * 4.0::DOUBLE AS est FROM t")
-    add("recency_global", on(SMALL, lambda e: methods.recency_triangles(e, 8 * K, runs=RUNS).global_))
+    add("recency_global", on(SMALL, lambda e: methods.recency_triangles(e, 8 * K, runs=RUNS).global_), sql.recency(SMALL, 8 * K, RUNS))
     # deletions
     dele = sql.with_(SIGNED, sql.deletions(DELTA))
     add("deletions_stream", signed(lambda s: s.select("seq", "u", "v", F.col("sign").cast("int").alias("sign"))), f"{dele} SELECT seq, u, v, sign::INT AS sign FROM d")
@@ -105,17 +113,18 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("dynamic_global", signed(lambda s: dynamic(s).global_), sql.dynamic(SIGNED, DELTA, SHARDS, 4 * K, RUNS))
     add("dynamic_local", signed(lambda s: dynamic(s).local_), sql.dynamic(SIGNED, DELTA, SHARDS, 4 * K, RUNS, True))
     add("dynamic_ample", signed(lambda s: dynamic(s, 10**6).global_), f"{sql.with_(SIGNED, sql.deletions(DELTA), sql._LIVES)} SELECT r.run::INT AS run, (SELECT count(*) FILTER (died IS NULL) FROM lv)::DOUBLE AS est FROM range({RUNS}) AS r(run)")
-    add("dynamic_trajectory", signed(lambda s: dynamic(s).trajectory(100)))
+    dyn = sql.dynamic_ctes(DELTA, SHARDS, 4 * K, RUNS)
+    add("dynamic_trajectory", signed(lambda s: dynamic(s).trajectory(100).select("run", "seq", F.round("est", 4).alias("est"))), f"{sql.with_(SIGNED, *dyn)} SELECT run::INT AS run, seq, round(sum(n) OVER (PARTITION BY run ORDER BY seq)::DOUBLE / {float(4 * K * (4 * K - 1))}, 4) AS est FROM (SELECT run, seq // 100 * 100 AS seq, sum(num * sign) AS n FROM w GROUP BY 1, 2)")
     add("dynamic_random_budgeted", signed(lambda s: methods.dynamic_triangles(s, SHARDS, 4 * K, runs=RUNS, pairing="random").global_))
     add("dynamic_literal_counters", signed(lambda s: replay.paired_replay(s, SHARDS, 4 * K).groupBy("shard").agg(F.sum(F.col("num") * F.col("sign")).cast("double").alias("num"))))
-    add("pairing_slots", signed(lambda s: sampling.assign_slots(routing.route_store(s, SHARDS))))
-    add("paired_residency", signed(lambda s: dynamic(s).residency))
+    add("pairing_slots", signed(lambda s: sampling.assign_slots(routing.route_store(s, SHARDS))), f"{sql.with_(SIGNED, *dyn)} SELECT q2.shard::INT AS shard, u, v, q2.seq AS ins_seq, nx AS del_seq, slot::BIGINT AS slot, fresh FROM ro JOIN q2 ON q2.shard = ro.shard AND q2.seq = ro.seq")
+    add("paired_residency", signed(lambda s: dynamic(s).residency.select(cols)), f"{sql.with_(SIGNED, *dyn)} SELECT run::INT AS run, shard::INT AS shard, u, v, enter_seq, exit_seq FROM held")
     add("solo_paired_global", signed(lambda s: methods.solo_paired_triangles(s, 8 * K, runs=RUNS).global_), sql.dynamic(SIGNED, DELTA, 1, 8 * K, RUNS))
     add("solo_paired_local", signed(lambda s: methods.solo_paired_triangles(s, 8 * K, runs=RUNS).local_), sql.dynamic(SIGNED, DELTA, 1, 8 * K, RUNS, True))
-    add("pairing_conditional", signed(lambda s: methods.solo_paired_conditional(s, 8 * K, runs=RUNS)))
+    add("pairing_conditional", signed(lambda s: methods.solo_paired_conditional(s, 8 * K, runs=RUNS).select("run", F.round("est", 6).alias("est"))), sql.conditional(SIGNED, DELTA, 8 * K, RUNS))
     add("pairing_conditional_ample", signed(lambda s: methods.solo_paired_conditional(s, 10**6).select(F.round("est", 6).alias("est"))), f"{sql.with_(SIGNED, sql.deletions(DELTA), sql._LIVES)} SELECT round(count(*) FILTER (died IS NULL), 6)::DOUBLE AS est FROM lv")
     add("coin_dynamic", signed(lambda s: methods.solo_coin_dynamic(s, Q, runs=RUNS).global_), sql.coin(SIGNED, Q, RUNS, delta=DELTA))
-    add("quarantine", signed(lambda s: validated(s.unionByName(s.withColumn("seq", F.col("seq") + 10**9)))[1].select("u", "v").distinct()))
+    add("quarantine", signed(lambda s: validated(s.unionByName(s.withColumn("seq", F.col("seq") + 10**9)))[1].select("u", "v").distinct()), f"{dele} SELECT u, v FROM d GROUP BY 1, 2 HAVING sum(sign) > 0")
     # measures, of the coin on one graph
     local = sql.coin(SMALL, Q, RUNS, True).removeprefix("WITH RECURSIVE ")
     glob = sql.coin(SMALL, Q, RUNS).removeprefix("WITH RECURSIVE ")
@@ -130,9 +139,11 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("metrics_gvar", measured(lambda e, r: measures.global_variance(exact.exact_global(e), r.global_), "gvar"), f"SELECT round(avg((x - est) ** 2), 6) AS gvar FROM ({truth}), {est}")
     add("metrics_mle", measured(lambda e, r: measures.mean_local_error(exact.exact_local(e), r.local_, RUNS), "mle"), f"SELECT round(avg(m), 6) AS mle FROM (SELECT run, avg(abs(x - e) / (x + 1)) AS m FROM ({both}) GROUP BY 1)")
     add("metrics_pearson", measured(lambda e, r: measures.pearson_local(exact.exact_local(e), r.local_, RUNS), "pearson"), f"SELECT round(avg(r), 6) AS pearson FROM (SELECT run, corr(x, e) AS r FROM ({both}) GROUP BY 1)")
-    add("metrics_bias", on(SMALL, lambda e: measures.bias_report(exact.exact_global(e), methods.solo_coin_triangles(e, Q, runs=8).global_)))
-    add("ratio_profile", on(SMALL, lambda e: measures.ratio_profile(adaptive(e).residency, routing.route_store(e, SHARDS))))
-    add("capabilities", lambda spark, d: methods.capabilities(spark))
+    rounded = lambda df: df.select([F.round(c, 4).alias(c) for c in df.columns])
+    add("metrics_bias", on(SMALL, lambda e: rounded(measures.bias_report(exact.exact_global(e), methods.solo_coin_triangles(e, Q, runs=8).global_))),
+        f"SELECT round(b, 4) AS bias, round(s, 4) AS stderr, round(b / s, 4) AS z, round(v, 4) AS sample_variance, round(b * b, 4) AS squared_bias FROM (SELECT avg(est) - max(x) AS b, stddev_samp(est) / sqrt(count(*)) AS s, var_samp(est) AS v FROM ({truth}), (WITH RECURSIVE {sql.coin(SMALL, Q, 8).removeprefix('WITH RECURSIVE ')}))")
+    add("ratio_profile", on(SMALL, lambda e: measures.ratio_profile(adaptive(e).residency, routing.route_store(e, SHARDS))), f"{sql.with_(SMALL, *ada[:5])} SELECT run::INT AS run, held.shard::INT AS shard, count(*) AS held, any_value(storables) AS storables, count(*) / any_value(storables) AS ratio FROM held JOIN (SELECT shard, count(*) AS storables FROM s1 GROUP BY 1) c ON c.shard = held.shard WHERE exit_seq IS NULL GROUP BY 1, 2")
+    add("capabilities", lambda spark, d: methods.capabilities(spark), sql.capabilities(methods._GROUPS, methods._BUILT, methods._CRITERIA))
     # relational views
     g = "customer_overlap"
     sides = "SELECT a AS u, b AS v FROM t UNION SELECT b, c FROM t UNION SELECT a, c FROM t"
@@ -158,13 +169,13 @@ def _found() -> dict[str, tuple[Query, str | None]]:
     add("stream_dynamic_ample", signed(lambda s: _streamed(s, lambda x: live.dynamic_stream(x, SHARDS, 10**6), 10**6 * (10**6 - 1))), f"{sql.with_(SIGNED, sql.deletions(DELTA), sql._LIVES)} SELECT count(*) FILTER (died IS NULL)::DOUBLE AS est FROM lv")
     # experiments
     add("w1_improvement", on("customer_overlap", lambda e: measures.improvement(workloads.accuracy(e, "customer_overlap", shares=(0.05,), runs=3, local=False), "solo_coin", "adaptive", "mge", ["graph", "setting"])))
-    add("w1_accuracy", on("customer_overlap", lambda e: workloads.accuracy(e, "customer_overlap", shares=(0.01, 0.05), runs=3)))
+    add("w1_accuracy", on("customer_overlap", lambda e: workloads.accuracy(e, "customer_overlap", shares=(1e-5, 1e-4, 1e-3, 1e-2, 1e-1), runs=10)))
     add("w2_speed", on("customer_overlap", lambda e: workloads.speed(e, "customer_overlap", share=0.01)))
-    add("w3_floor", on("customer_overlap", lambda e: workloads.floors(e, "customer_overlap", shares=(0.005,), runs=3)))
-    add("w4_dynamic_accuracy", on("customer_overlap", lambda e: workloads.dynamic_accuracy(e, "customer_overlap", runs=3)))
-    add("w5_dynamic_speed", on("page_links", lambda e: workloads.dynamic_speed(e, "page_links", share=0.05, solo=(0.05,))))
-    add("w6_shards", on("customer_overlap", lambda e: workloads.shard_sweep(e, "customer_overlap", shards=(2, 8), runs=3)))
-    add("w7_scaling", on("customer_overlap", lambda e: workloads.scaling(e, "customer_overlap", powers=(11, 12))))
+    add("w3_floor", on("customer_overlap", lambda e: workloads.floors(e, "customer_overlap", ratio_floors=(0.00032, 0.0032, 0.032, 0.1, 0.2), shares=(0.005, 0.02), runs=10)))
+    add("w4_dynamic_accuracy", on("customer_overlap", lambda e: workloads.dynamic_accuracy(e, "customer_overlap", share=0.01, n_shards=30, runs=10)))
+    add("w5_dynamic_speed", on("page_links", lambda e: workloads.dynamic_speed(e, "page_links", share=0.01, solo=(0.01, 0.05))))
+    add("w6_shards", on("customer_overlap", lambda e: workloads.shard_sweep(e, "customer_overlap", shards=(10, 50, 90, 130), runs=10)))
+    add("w7_scaling", on("customer_overlap", lambda e: workloads.scaling(e, "customer_overlap")))
     return out
 
 

@@ -8,7 +8,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import _number
-from ..operators.streams import canonical_edges, numbered, stream
+from ..operators.streams import canonical_edges, number_within, numbered, stream
+from .shared import cut
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -87,41 +88,59 @@ def page_overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stream(canonical_edges(_within(rows, ["href"], "page_id"), ["ts"]).drop("ts"), ["v"])
 
 
+#: Next holders of a line that a document is linked to.
+HOLDERS = 8
+
+
 def doc_near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents that share a line of 40 characters or more which 2 to 200 documents have."""
-    lines = read_table(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= 40).distinct()
-    some = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n")).where("n between 2 and 200").select("line")
-    rows = lines.join(some, "line").select("line", "doc_id", F.lit(0).alias("ts"))
-    return stream(canonical_edges(_within(rows, ["line"], "doc_id"), ["ts"]).drop("ts"), ["v"])
+    """Documents that share a line of 40 characters or more, each with the next HOLDERS documents that have it.
+
+    However many documents hold a line, its edges are in proportion to them, and none is left without any.
+    """
+    lines = read_table(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= 40)
+    held = lines.select(F.xxhash64("line").alias("line"), "doc_id").distinct()
+    placed = cut(number_within(held, ["line"], "doc_id", "place"))
+    ahead = placed.select("line", F.col("doc_id").alias("a"), F.explode(F.sequence(F.col("place") + 1, F.col("place") + HOLDERS)).alias("place"))
+    pairs = ahead.join(placed.withColumnRenamed("doc_id", "b"), ["line", "place"]).select("a", "b", F.lit(0).alias("ts"))
+    return stream(canonical_edges(pairs, ["ts"]).drop("ts"), ["v"])
 
 
-#: Vectors that vector_neighbours takes: it compares all pairs, in blocks.
-MOST_VECTORS = 20_000
+#: Vectors in one block of vector_neighbours.
+BLOCK_VECTORS = 2048
 
 
 def vector_neighbours(spark: SparkSession, sf_dir: str, least: float = 0.3) -> DataFrame:
-    """Vectors with a cosine above ``least``; for a small table, whose size is checked before it is broadcast."""
+    """Vectors with a cosine above ``least``, by products of blocks: a task holds two blocks, whatever the table's size.
+
+    All blocks meet each other, as any exact answer needs; the work is spread evenly over as many tasks.
+    """
     import numpy as np
     import pandas as pd
 
-    table = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    if table.count() > MOST_VECTORS:
-        raise ValueError(f"more than {MOST_VECTORS} vectors")
-    rows = table.toPandas()
-    matrix = np.stack(rows["embedding"].to_numpy()).astype(float)
-    matrix /= np.linalg.norm(matrix, axis=1, keepdims=True)
-    sent = spark.sparkContext.broadcast((rows["vec_id"].to_numpy(), matrix))
+    rows = numbered(read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), ["vec_id"], "place")
+    rows = rows.withColumn("block", F.floor(F.col("place") / BLOCK_VECTORS)).select("block", "vec_id", F.col("embedding").cast("array<double>").alias("embedding"))
+
+    def pack(frame: pd.DataFrame) -> pd.DataFrame:
+        frame = frame.sort_values("vec_id")
+        matrix = np.stack(frame["embedding"].to_numpy())
+        matrix = matrix / np.maximum(np.linalg.norm(matrix, axis=1, keepdims=True), 1e-300)
+        return pd.DataFrame({"block": [frame["block"].iloc[0]], "ids": [frame["vec_id"].to_numpy(np.int64).tobytes()], "matrix": [matrix.tobytes()]})
+
+    blocks = cut(rows.groupBy("block").applyInPandas(pack, "block long, ids binary, matrix binary"))
+    n = blocks.count()
+    met = spark.range(n).select(F.col("id").alias("block"), F.explode(F.sequence(F.col("id"), F.lit(n - 1).cast("long"))).alias("other"))
+    other = blocks.select(F.col("block").alias("other"), F.col("ids").alias("other_ids"), F.col("matrix").alias("other_matrix"))
+    both = met.join(blocks, "block").join(other, "other")
 
     def near(frames):
-        ids, whole = sent.value
         for frame in frames:
-            own = np.stack(frame["embedding"].to_numpy()).astype(float)
-            own /= np.linalg.norm(own, axis=1, keepdims=True)
-            i, j = np.nonzero(own @ whole.T > least)
-            a, b = frame["vec_id"].to_numpy()[i], ids[j]
-            yield pd.DataFrame({"a": a[a < b], "b": b[a < b]})
+            for x, xs, y, ys in frame[["ids", "matrix", "other_ids", "other_matrix"]].itertuples(index=False):
+                x, y = np.frombuffer(x, np.int64), np.frombuffer(y, np.int64)
+                i, j = np.nonzero(np.frombuffer(xs).reshape(len(x), -1) @ np.frombuffer(ys).reshape(len(y), -1).T > least)
+                yield pd.DataFrame({"a": x[i], "b": y[j]})
 
-    return stream(canonical_edges(table.mapInPandas(near, "a long, b long").withColumn("ts_", F.lit(0)), ["ts_"]).drop("ts_"), ["u"])
+    pairs = both.select("ids", "matrix", "other_ids", "other_matrix").mapInPandas(near, "a long, b long").where("a <> b")
+    return stream(canonical_edges(pairs.withColumn("ts_", F.lit(0)), ["ts_"]).drop("ts_"), ["u"])
 
 
 GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {

@@ -60,7 +60,7 @@ def test_reservoir_is_unbiased_by_enumeration(monkeypatch, k):
     assert total / n == 4
 
 
-@pytest.mark.parametrize("k,floor", [(2, 1.0), (2, 0.67), (3, 1.0)])
+@pytest.mark.parametrize("k,floor", [(2, 1.0), (2, 0.67), (3, 1.0), (2, 0.5), (3, 0.75), (3, 0.6)])
 def test_adaptive_pool_is_unbiased_by_enumeration(monkeypatch, k, floor):
     total, n = Fraction(0), 0
     for keys in itertools.permutations(range(6)):
@@ -216,8 +216,33 @@ def test_sink_repeats_a_batch_without_doubling_it(spark, tmp_path):
     assert [tuple(r) for r in parsed(raw).collect()] == [(1, None, 2, 3, -1)]
 
 
+def test_large_budgets_do_not_overflow(spark):
+    """Budgets whose products pass 64 bits: everything is held, so estimates are exact."""
+    for k in (10**6, 10**7, 10**8):
+        assert methods.adaptive_triangles(stream(spark, K4), 2, k).global_.first().est == 4
+        assert methods.dynamic_triangles(stream(spark, SIGNED), 2, k).global_.first().est == 4
+
+
+def test_bad_events_are_set_aside(spark):
+    rows = [(0, 1, 2, 1), (1, 1, 2, 5), (2, 1, 2, 1), (3, 2, 1, -1), (4, 1, 2, -1), (5, 3, 3, 1), (6, None, 3, 1), (7, 4, 3, 1), (8, 1, 2, 1), (9, 1, 2, None)]
+    good, bad = validated(spark.createDataFrame(rows, "seq long, u long, v long, sign byte"))
+    assert sorted(map(tuple, good.collect())) == [(0, 1, 2, 1), (3, 1, 2, -1), (7, 3, 4, 1), (8, 1, 2, 1)]
+    assert sorted(r.seq for r in bad.collect()) == [1, 2, 4, 5, 6, 9]
+
+
+def test_candidates_take_nothing_away_that_enters(spark):
+    rows = spark.range(40_000).select(F.lit(0).alias("run"), F.lit(0).alias("shard"), F.col("id").alias("seq"), (F.col("id") + 1).alias("t_local"), F.pmod(F.xxhash64("id"), F.lit(1 << 60)).alias("key"))
+    for k in (2, 20, 500):
+        few = sampling.candidates(rows, k, ["run", "shard"])
+        keys = [r.key for r in rows.orderBy("seq").collect()]
+        entered, _ = sampling._entrants(list(range(40_000)), keys, k)
+        own = {r.seq for r in few.select("seq").collect()}
+        assert own >= set(entered) and (k > 100 or len(own) < 20_000)
+
+
 NAMES = ["canonical_page_links", "exact_local_customer_overlap", "adaptive_global", "sharded_local", "dynamic_global", "coin_global", "metrics_mge",
-         "unclosed_edges", "snapshot_lost", "edges_by_date", "estimated_transitivity", "sql_adaptive_global", "stream_adaptive_global"]
+         "unclosed_edges", "snapshot_lost", "edges_by_date", "estimated_transitivity", "sql_adaptive_global", "stream_adaptive_global", "adaptive_nominal", "adaptive_storage", "ratio_floor", "ratio_floor_capped", "coin_conditional", "recency_global", "dynamic_trajectory",
+         "pairing_slots", "paired_residency", "pairing_conditional", "quarantine", "metrics_bias", "ratio_profile", "exact_trajectory", "canonical_doc_near_copies", "canonical_vector_neighbours"]
 
 
 @pytest.mark.parametrize("name", NAMES)
