@@ -13,6 +13,8 @@ def _shared(spark: SparkSession) -> str:
     context = spark.sparkContext
     own = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
     if not own:
+        if not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="dyntri-"))
         own = context.getCheckpointDir()
     return own
