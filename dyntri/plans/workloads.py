@@ -3,9 +3,12 @@
 from __future__ import annotations
 
 import time
-from functools import reduce
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
+from dataclasses import replace
 
-from pyspark.sql import DataFrame
+from pyspark import inheritable_thread_target
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
 from ..operators import exact, measures
@@ -13,38 +16,50 @@ from ..operators.streams import with_deletions
 from ..sources.shared import cut
 from . import methods
 
+#: Cells of a grid that run at a time; those that are timed run alone.
+CELLS_AT_ONCE = 6
 
-def _row(graph: str, method: str, setting: str, truth: DataFrame, local: DataFrame, est: DataFrame, vertex: DataFrame | None, runs: int) -> DataFrame:
-    """(graph, method, setting, mge, gvar, mle, pearson) of one cell of a grid."""
-    rows = measures.mean_global_error(truth, est).join(measures.global_variance(truth, est), F.lit(True))
-    if vertex is None:
-        rows = rows.select("*", F.lit(None).cast("double").alias("mle"), F.lit(None).cast("double").alias("pearson"))
-    else:
-        rows = rows.join(measures.mean_local_error(local, vertex, runs), F.lit(True)).join(measures.pearson_local(local, vertex, runs), F.lit(True))
-    return rows.select(F.lit(graph).alias("graph"), F.lit(method).alias("method"), F.lit(setting).alias("setting"), "mge", "gvar", "mle", "pearson")
+#: (method, setting, how to make its result): a result whose vertices are measured too, or (run, est) only.
+Cell = tuple[str, str, Callable[[], methods.TriangleResult | DataFrame]]
 
 
-def _table(cells: list[DataFrame]) -> DataFrame:
-    return reduce(DataFrame.unionByName, cells)
+def _row(graph: str, cell: Cell, truth: DataFrame, vertices: DataFrame | None, runs: int) -> Row:
+    """(graph, method, setting, mge, gvar, mle, pearson) of one cell; its hits are computed once."""
+    method, setting, make = cell
+    est = made = make()
+    vertex = None
+    if isinstance(made, methods.TriangleResult):
+        made = replace(made, hits=cut(made.hits))
+        est, vertex = made.global_, made.local_
+    one = F.broadcast(measures.mean_global_error(truth, est)).join(F.broadcast(measures.global_variance(truth, est)), F.lit(True))
+    if vertices is not None and vertex is not None:
+        one = one.join(F.broadcast(measures.mean_local_error(vertices, vertex, runs)), F.lit(True)).join(F.broadcast(measures.pearson_local(vertices, vertex, runs)), F.lit(True))
+    got = one.first().asDict()
+    return Row(graph, method, setting, got["mge"], got["gvar"], got.get("mle"), got.get("pearson"))
+
+
+def _table(graph: str, cells: list[Cell], truth: DataFrame, vertices: DataFrame | None, runs: int) -> DataFrame:
+    """A row per cell. Cells don't depend on each other and are mostly short stages, so several run at a time."""
+    spark = truth.sparkSession
+    with ThreadPoolExecutor(CELLS_AT_ONCE) as pool:
+        rows = list(pool.map(inheritable_thread_target(spark)(lambda cell: _row(graph, cell, truth, vertices, runs)), cells))
+    return spark.createDataFrame(rows, "graph string, method string, setting string, mge double, gvar double, mle double, pearson double")
 
 
 def accuracy(events: DataFrame, graph: str, shares: tuple[float, ...] = (0.002, 0.01, 0.05), n_shards: int = 10, floor: float = 0.2, runs: int = 5, local: bool = True) -> DataFrame:
     """Insertion-only accuracy over budgets as shares of all edges: the adaptive pool and the three baselines."""
     events = cut(events)
-    n, truth, vertices = events.count(), cut(exact.exact_global(events)), cut(exact.exact_local(events))
-    cells = []
+    n, truth, vertices = events.count(), cut(exact.exact_global(events)), cut(exact.exact_local(events)) if local else None
+    cells: list[Cell] = []
     for share in shares:
-        k = max(2, int(share * n))
-        for name, r in (
-            ("adaptive", methods.adaptive_triangles(events, n_shards, k, floor, runs=runs)),
-            ("sharded", methods.sharded_triangles(events, n_shards, k, runs=runs)),
-            ("solo_reservoir", methods.solo_reservoir_triangles(events, k, runs=runs)),
-            ("solo_coin", methods.solo_coin_triangles(events, share, runs=runs)),
-        ):
-            hits = cut(r.hits)
-            r = methods.TriangleResult(hits, r.residency, r.den, runs)
-            cells.append(_row(graph, name, f"budget={share}", truth, vertices, r.global_, r.local_ if local else None, runs))
-    return _table(cells)
+        k, setting = max(2, int(share * n)), f"budget={share}"
+        cells += [
+            ("adaptive", setting, lambda k=k: methods.adaptive_triangles(events, n_shards, k, floor, runs=runs)),
+            ("sharded", setting, lambda k=k: methods.sharded_triangles(events, n_shards, k, runs=runs)),
+            ("solo_reservoir", setting, lambda k=k: methods.solo_reservoir_triangles(events, k, runs=runs)),
+            ("solo_coin", setting, lambda share=share: methods.solo_coin_triangles(events, share, runs=runs)),
+        ]
+    return _table(graph, cells, truth, vertices, runs)
 
 
 def speed(events: DataFrame, graph: str, solo: tuple[float, ...] = (0.02, 0.05), share: float = 0.001, n_shards: int = 10) -> DataFrame:
@@ -69,12 +84,12 @@ def floors(events: DataFrame, graph: str, ratio_floors: tuple[float, ...] = (0.0
     """Error of the adaptive pool over ratio floors and first budgets."""
     events = cut(events)
     n, truth = events.count(), cut(exact.exact_global(events))
-    cells = []
-    for share in shares:
-        for floor in ratio_floors:
-            r = methods.adaptive_triangles(events, n_shards, max(2, int(share * n)), floor, runs=runs)
-            cells.append(_row(graph, "adaptive", f"budget={share},floor={floor}", truth, truth, r.global_, None, runs))
-    return _table(cells)
+    cells: list[Cell] = [
+        ("adaptive", f"budget={share},floor={floor}", lambda k=max(2, int(share * n)), floor=floor: methods.adaptive_triangles(events, n_shards, k, floor, runs=runs))
+        for share in shares
+        for floor in ratio_floors
+    ]
+    return _table(graph, cells, truth, None, runs)
 
 
 def dynamic_accuracy(events: DataFrame, graph: str, delta: float = 0.2, share: float = 0.05, n_shards: int = 10, runs: int = 5) -> DataFrame:
@@ -82,13 +97,14 @@ def dynamic_accuracy(events: DataFrame, graph: str, delta: float = 0.2, share: f
     signed = cut(with_deletions(events, delta))
     n, truth, vertices = events.count(), cut(exact.exact_dynamic(signed)), cut(exact.exact_local_dynamic(signed))
     k = max(3, int(share * n))
-    cells = []
-    for name, r in (("dynamic", methods.dynamic_triangles(signed, n_shards, k, runs=runs)), ("solo_paired", methods.solo_paired_triangles(signed, k, runs=runs)), ("solo_coin_dynamic", methods.solo_coin_dynamic(signed, share, runs=runs))):
-        hits = cut(r.hits)
-        r = methods.TriangleResult(hits, r.residency, r.den, runs)
-        cells.append(_row(graph, name, f"delta={delta},budget={share}", truth, vertices, r.global_, r.local_, runs))
-    cells.append(_row(graph, "solo_paired_conditional", f"delta={delta},budget={share}", truth, vertices, methods.solo_paired_conditional(signed, k, runs=runs), None, runs))
-    return _table(cells)
+    setting = f"delta={delta},budget={share}"
+    cells: list[Cell] = [
+        ("dynamic", setting, lambda: methods.dynamic_triangles(signed, n_shards, k, runs=runs)),
+        ("solo_paired", setting, lambda: methods.solo_paired_triangles(signed, k, runs=runs)),
+        ("solo_coin_dynamic", setting, lambda: methods.solo_coin_dynamic(signed, share, runs=runs)),
+        ("solo_paired_conditional", setting, lambda: cut(methods.solo_paired_conditional(signed, k, runs=runs))),
+    ]
+    return _table(graph, cells, truth, vertices, runs)
 
 
 def dynamic_speed(events: DataFrame, graph: str, delta: float = 0.2, share: float = 0.01, solo: tuple[float, ...] = (0.01, 0.05), n_shards: int = 10) -> DataFrame:
@@ -112,12 +128,9 @@ def shard_sweep(events: DataFrame, graph: str, shards: tuple[int, ...] = (2, 8,
     """Error and correlation of the dynamic method as shards are added, each with the same budget."""
     signed = cut(with_deletions(events, delta))
     n, truth, vertices = events.count(), cut(exact.exact_dynamic(signed)), cut(exact.exact_local_dynamic(signed))
-    cells = []
-    for w in shards:
-        r = methods.dynamic_triangles(signed, w, max(2, int(share * n)), runs=runs)
-        r = methods.TriangleResult(cut(r.hits), r.residency, r.den, runs)
-        cells.append(_row(graph, "dynamic", f"shards={w}", truth, vertices, r.global_, r.local_, runs))
-    return _table(cells)
+    k = max(2, int(share * n))
+    cells: list[Cell] = [("dynamic", f"shards={w}", lambda w=w: methods.dynamic_triangles(signed, w, k, runs=runs)) for w in shards]
+    return _table(graph, cells, truth, vertices, runs)
 
 
 def scaling(events: DataFrame, graph: str, powers: tuple[int, ...] | None = None, n_shards: int = 30, share: float = 0.01, delta: float = 0.2) -> DataFrame:
