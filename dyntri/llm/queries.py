@@ -40,9 +40,10 @@ def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import warc
 
     archives, index = storage.fresh_path(spark, "archives"), storage.fresh_path(spark, "capture_index")
-    warc.write_archives(table(spark, sf_dir, "pages"), archives, min_bytes=0)
+    pages = table(spark, sf_dir, "pages")
+    warc.write_archives(pages, archives, min_bytes=0)
     warc.write_index(spark, archives, index)
-    return warc.read_captures(spark, archives, index).drop("payload", "url")
+    return warc.read_captures(spark, archives, index, pages.select("url")).drop("payload", "url")
 
 
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -4,8 +4,9 @@ Archives: WARC 1.1 records, each a gzip member of its own, so any record can be
 are stored once: the record with the smallest id is a response, the others are revisits of it.
 
 Index: a line per record, sorted by reversed-host key, in gzip blocks of ``BLOCK_LINES`` lines (the dense level), and
-a directory with each block's first key, file and range (the sparse level). A look-up searches the directory, then
-reads and searches one block, then reads the record's range.
+a directory with each block's first and last key, file and range (the sparse level). A look-up searches the directory,
+then reads and searches the blocks that may hold its key, then reads the records' ranges: ``located`` for a table of
+URLs, ``CaptureIndex`` for one.
 """
 
 from __future__ import annotations
@@ -15,7 +16,7 @@ import hashlib
 import json
 import uuid
 import zlib
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 from urllib.parse import urlsplit
 
@@ -28,8 +29,6 @@ from . import storage
 BLOCK_LINES = 3000
 #: Compressed bytes of an archive file.
 FILE_BYTES = 16_000_000
-#: Directory rows that a look-up may collect: one stands for BLOCK_LINES captures.
-DIRECTORY_ROWS = 1_000_000
 #: Byte ranges, 16 bytes each, that may be sent to all executors.
 SENT_RANGES = 2_000_000
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -49,6 +48,11 @@ def surt(url: str | None) -> str:
     return ",".join(reversed(host.split("."))) + f"{port})" + (u.path or "/") + (f"?{u.query}" if u.query else "")
 
 
+def index_key(url: str | None) -> str:
+    """The key under which the index has a URL as its record's header holds it."""
+    return surt(None if url is None else _line(url)).replace("\t", "%09")
+
+
 def record_id(page_id: int | None) -> str:
     return f"<urn:uuid:{uuid.uuid5(SPACE_OF_IDS, str(page_id))}>"
 
@@ -164,7 +168,7 @@ def _index_lines(spark: SparkSession, path: str) -> DataFrame:
                     fields, _ = parsed(data)
                     if fields["WARC-Type"] != "warcinfo":
                         page = fields["X-Page"]
-                        rows.append((surt(fields.get("WARC-Target-URI")), int(page) if page else None, file, offset, length, fields["WARC-Type"], fields["WARC-Payload-Digest"]))
+                        rows.append((index_key(fields.get("WARC-Target-URI")), int(page) if page else None, file, offset, length, fields["WARC-Type"], fields["WARC-Payload-Digest"]))
                 kinds = [pa.string(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 7, kinds)], names)
 
@@ -182,7 +186,7 @@ def write_index(spark: SparkSession, archives: str, path: str, block_lines: int
 
         for batch in batches:
             for row in batch.to_pylist():
-                lines.append(row.pop("key").replace("\t", "%09") + "\t" + json.dumps(row) + "\n")
+                lines.append(row.pop("key") + "\t" + json.dumps(row) + "\n")
                 if len(lines) >= block_lines:
                     yield full()
                     lines = []
@@ -194,18 +198,113 @@ def write_index(spark: SparkSession, archives: str, path: str, block_lines: int
     # urls repeat, and one of them may be very common: the id cuts it into ranges
     ordered = lines.repartitionByRange(n, "key", "page_id").sortWithinPartitions("key", "page_id", "file", "offset")
     storage.write_blobs(ordered.mapInArrow(block, "blob binary"), "blob", f"{path}/blocks")
-    schema = "first_key string, file string, offset long, length long, lines long"
+    schema = "first_key string, last_key string, file string, offset long, length long"
+    kinds = [pa.string(), pa.string(), pa.string(), pa.int64(), pa.int64()]
 
     def sparse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for file, content in zip(batch.column(0).to_pylist(), batch.column(1)):
-                rows = [(data.split(b"\t", 1)[0].decode(), file, at, n, data.count(b"\n")) for at, n, data in members(content.as_buffer().to_pybytes())]
-                kinds = [pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64()]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 5, kinds)], ["first_key", "file", "offset", "length", "lines"])
+                rows = []
+                for at, n, data in members(content.as_buffer().to_pybytes()):
+                    keys = _keys(_block_lines(data))
+                    rows.append((keys[0], keys[-1], file, at, n))
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 5, kinds)], [x.split()[0] for x in schema.split(", ")])
 
     storage.read_blobs(spark, f"{path}/blocks").mapInArrow(sparse, schema).write.parquet(f"{path}/directory")
 
 
+def _block_lines(data: bytes) -> list[str]:
+    return data.decode().split("\n")[:-1]
+
+
+def _keys(lines: list[str]) -> list[str]:
+    return [x.split("\t", 1)[0] for x in lines]
+
+
+def _covering(firsts: list[str], lasts: list[str], key: str) -> range:
+    """Places, among ranges of keys in order, of those that may hold the key; a common key covers several."""
+    return range(bisect_left(lasts, key), bisect_right(firsts, key))
+
+
+def _files_of_blocks(directory: DataFrame) -> tuple[list[str], list[str], list[str]]:
+    """(first keys, last keys, names) of the block files in key order: one row for each task that wrote the index."""
+    bounds = directory.groupBy("file").agg(F.min("first_key").alias("first"), F.max("last_key").alias("last"))
+    rows = sorted((r["first"], r["last"], r["file"]) for r in bounds.collect())
+    return [r[0] for r in rows], [r[1] for r in rows], [r[2] for r in rows]
+
+
+def _with_ranges(spark: SparkSession, path: str, ranges: DataFrame) -> DataFrame:
+    """(file, content, ranges) of the files below ``path`` that ranges (file, offset, length) name.
+
+    A file's ranges are as many as its members at most, which its size bounds.
+    """
+    by_file = ranges.groupBy("file").agg(F.collect_list(F.struct("offset", "length")).alias("ranges"))
+    if ranges.count() <= SENT_RANGES:  # then files stay where they are read; beyond it they meet their ranges in a shuffle
+        by_file = F.broadcast(by_file)
+    return storage.read_blobs(spark, path).join(by_file, F.col("path") == F.col("file")).select("file", "content", "ranges")
+
+
+def located(spark: SparkSession, index: str, urls: DataFrame) -> DataFrame:
+    """(file, offset, length) of the records of all captures of ``urls`` (column url), each capture once.
+
+    Distinct keys go in order, in batches, through the two levels: the key ranges of block files, then the directory
+    rows of the file, then the lines of the block, each by binary search. A null or empty url stands for captures
+    without a target, urls that the index lacks give nothing, and so does an empty table.
+    """
+    directory = spark.read.parquet(f"{index}/directory")
+    firsts, lasts, names = _files_of_blocks(directory)
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([index_key(u) for u in batch.column(0).to_pylist()], pa.string())], ["key"])
+
+    def files(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            held: dict[int, list[str]] = {}
+            for key in batch.column(0).to_pylist():
+                for at in _covering(firsts, lasts, key):
+                    held.setdefault(at, []).append(key)
+            yield pa.RecordBatch.from_arrays([pa.array([names[at] for at in held], pa.string()), pa.array(list(held.values()), pa.list_(pa.string()))], ["file", "keys"])
+
+    def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                own = sorted((b["first_key"], b["last_key"], b["offset"], b["length"]) for b in row["blocks"])
+                low, high, held = [b[0] for b in own], [b[1] for b in own], {}
+                for key in row["keys"]:
+                    for at in _covering(low, high, key):
+                        held.setdefault(at, []).append(key)
+                columns = [[row["file"]] * len(held), [own[at][2] for at in held], [own[at][3] for at in held], list(held.values())]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, [pa.string(), pa.int64(), pa.int64(), pa.list_(pa.string())])], ["file", "offset", "length", "keys"])
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for file, content, where in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2)):
+                data, at = content.as_buffer(), [(r["offset"], r["length"]) for r in where.as_py()]
+                parts = [data.slice(o, n).to_pybytes() for o, n in at]
+                yield pa.RecordBatch.from_arrays([pa.array([file] * len(at), pa.string()), pa.array([o for o, _ in at], pa.int64()), pa.array(parts, pa.binary())], ["file", "offset", "block"])
+
+    def records(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for block, wanted in zip(batch.column(0), batch.column(1).to_pylist()):
+                lines = _block_lines(zlib.decompress(block.as_buffer(), 31))
+                own = _keys(lines)
+                for key in wanted:
+                    found = (json.loads(x.split("\t", 1)[1]) for x in lines[bisect_left(own, key) : bisect_right(own, key)])
+                    rows += [(x["file"], x["offset"], x["length"]) for x in found]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 3, [pa.string(), pa.int64(), pa.int64()])], ["file", "offset", "length"])
+
+    distinct = storage.saved(urls.select("url").mapInArrow(keys, "key string").distinct(), "keys")
+    ordered = distinct.repartitionByRange(max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1), "key").sortWithinPartitions("key")
+    by_file = directory.groupBy("file").agg(F.collect_list(F.struct("first_key", "last_key", "offset", "length")).alias("blocks"))
+    asked = ordered.mapInArrow(files, "file string, keys array<string>").join(by_file, "file")
+    asked = storage.saved(asked.mapInArrow(blocks, "file string, offset long, length long, keys array<string>"), "asked")
+    parts = _with_ranges(spark, f"{index}/blocks", asked.select("file", "offset", "length").distinct())
+    found = parts.mapInArrow(cut, "file string, offset long, block binary").join(asked, ["file", "offset"]).select("block", "keys")
+    return found.mapInArrow(records, "file string, offset long, length long")
+
+
 def read_range(spark: SparkSession, file: str, offset: int, length: int) -> bytes:
     """Bytes of a file by Spark's own file system layer, whatever store it is in."""
     jvm = spark.sparkContext._jvm
@@ -219,27 +318,21 @@ def read_range(spark: SparkSession, file: str, offset: int, length: int) -> byte
 
 
 class CaptureIndex:
-    """Look-ups by URL: the directory in memory, blocks and records by range."""
+    """Look-ups by URL: key ranges of block files in memory, a file's directory rows, blocks and records by range."""
 
     def __init__(self, spark: SparkSession, path: str):
-        self.spark = spark
-        directory = spark.read.parquet(f"{path}/directory")
-        if directory.count() > DIRECTORY_ROWS:
-            raise ValueError(f"more than {DIRECTORY_ROWS} blocks: write the index with more lines in a block")
-        self.rows = sorted((r.first_key, r.file, r.offset, r.length) for r in directory.collect())
+        self.spark, self.directory = spark, spark.read.parquet(f"{path}/directory")
+        self.firsts, self.lasts, self.files = _files_of_blocks(self.directory)
 
-    def captures(self, url: str) -> list[dict]:
+    def captures(self, url: str | None) -> list[dict]:
         """The index lines of a URL, in index order."""
-        key = surt(url).replace("\t", "%09")
-        out, at = [], max(0, bisect_left(self.rows, (key,)) - 1)
-        while at < len(self.rows) and self.rows[at][0] <= key:
-            _, file, offset, length = self.rows[at]
-            lines = zlib.decompress(read_range(self.spark, file, offset, length), 31).decode().splitlines()
-            place = bisect_left(lines, f"{key}\t")
-            while place < len(lines) and lines[place].startswith(f"{key}\t"):
-                out.append(json.loads(lines[place].split("\t", 1)[1]))
-                place += 1
-            at += 1
+        key, out = index_key(url), []
+        for at in _covering(self.firsts, self.lasts, key):
+            rows = self.directory.where((F.col("file") == self.files[at]) & (F.col("first_key") <= key) & (F.col("last_key") >= key))
+            for block in rows.orderBy("offset").collect():
+                lines = _block_lines(zlib.decompress(read_range(self.spark, block["file"], block["offset"], block["length"]), 31))
+                keys = _keys(lines)
+                out += [json.loads(x.split("\t", 1)[1]) for x in lines[bisect_left(keys, key) : bisect_right(keys, key)]]
         return out
 
     def read(self, line: dict) -> tuple[dict[str, str], bytes]:
@@ -248,26 +341,14 @@ class CaptureIndex:
         return fields, block.partition(b"\r\n\r\n")[2]
 
 
-def read_captures(spark: SparkSession, archives: str, index: str) -> DataFrame:
-    """All records, read by the ranges that the index has: page_id, url, payload_bytes, payload_digest, record_type, refers_to, payload.
+def read_captures(spark: SparkSession, archives: str, index: str, urls: DataFrame) -> DataFrame:
+    """All captures of ``urls`` (column url), looked up in the index and read by their ranges: page_id, url, payload_bytes,
+    payload_digest, record_type, refers_to, payload.
 
     A response's length and digest are taken from the payload itself and held against its header; a revisit's come
-    from its header.
+    from its header. Nulls, unknown urls and empty tables as in ``located``.
     """
-    lines = "file string, offset long, length long"
-
-    def ranges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for content in batch.column(0):
-                rows = [json.loads(x.split("\t", 1)[1]) for _, _, data in members(content.as_buffer().to_pybytes()) for x in data.decode().splitlines()]
-                yield pa.RecordBatch.from_pylist([{k: r[k] for k in ("file", "offset", "length")} for r in rows], pa.schema([("file", pa.string()), ("offset", pa.int64()), ("length", pa.int64())]))
-
-    wanted = storage.saved(storage.read_blobs(spark, f"{index}/blocks").select("content").mapInArrow(ranges, lines), "ranges")
-    # a file's ranges are as many as its records, which its size bounds
-    by_file = wanted.groupBy("file").agg(F.collect_list(F.struct("offset", "length")).alias("ranges"))
-    if wanted.count() <= SENT_RANGES:  # then files stay where they are read; beyond it they meet their ranges in a shuffle
-        by_file = F.broadcast(by_file)
-    found = storage.read_blobs(spark, archives).join(by_file, F.col("path") == F.col("file")).select("content", "ranges")
+    found = _with_ranges(spark, archives, storage.saved(located(spark, index, urls), "ranges")).select("content", "ranges")
     schema = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
     kinds = [pa.int64(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.binary()]
     names = [x.split()[0] for x in schema.split(", ")]

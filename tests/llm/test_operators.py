@@ -122,13 +122,17 @@ def test_ngram_join_odd_rows(docs, none):
 
 
 def test_warc_round_trip_and_lookup(spark, tmp_path):
-    rows = [(1, "http://a.example/x", "<p>é\r\n\r\nWARC/1.1</p>"), (2, "http://www.b.example:8080/?q=1", "<p>é\r\n\r\nWARC/1.1</p>"), (3, None, None), (4, "", ""), (5, "http://a.example/x", "z" * 300_000), (6, "bad\nurl", "y"), (None, "http://c.example", "y"), (7, "http://a.example/x", "y")]
+    rows = [(1, "http://a.example/x", "<p>é\r\n\r\nWARC/1.1</p>"), (2, "http://www.b.example:8080/?q=1", "<p>é\r\n\r\nWARC/1.1</p>"), (3, None, None), (4, "", ""), (5, "http://a.example/x", "z" * 300_000), (6, "bad\nurl", "y"), (None, "http://c.example", "y"), (7, "http://a.example/x", "y"), (8, "a\tb\x01c\u2028d", "q"), (9, "a", "r"), (10, "a\x01", "s")]
+    rows += [(100 + i, "http://a.example/x", f"n{i}") for i in range(9)]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
     archives, index = storage.fresh_path(spark, "a"), storage.fresh_path(spark, "i")
     warc.write_archives(pages, archives)
     warc.write_index(spark, archives, index, block_lines=2)
-    got = warc.read_captures(spark, archives, index).collect()
+    got = warc.read_captures(spark, archives, index, pages.select("url")).collect()
     assert len(got) == len(rows)
+    some = spark.createDataFrame([("http://a.example/x",), ("http://a.example/x",), ("http://nowhere.example/",), (None,)], "url string")
+    assert sorted(r.page_id for r in warc.read_captures(spark, archives, index, some).collect()) == [1, 3, 4, 5, 7, *range(100, 109)]
+    assert warc.read_captures(spark, archives, index, some.limit(0)).count() == 0
     by = {r.page_id: r for r in got}
     for i, _, h in rows:
         b = (h or "").encode()
@@ -137,10 +141,12 @@ def test_warc_round_trip_and_lookup(spark, tmp_path):
     assert (by[2].refers_to, by[4].refers_to, by[7].refers_to, by[1].refers_to) == (1, 3, 6, None)
     look = warc.CaptureIndex(spark, index)
     lines = look.captures("http://a.example/x")
-    assert [x["page_id"] for x in lines] == [1, 5, 7] and look.captures("http://nowhere.example/") == []
+    assert [x["page_id"] for x in lines] == [1, 5, 7, *range(100, 109)] and [x["page_id"] for x in look.captures(rows[8][1])] == [8] and look.captures("http://nowhere.example/") == []
     assert look.read(lines[0])[1].decode() == rows[0][2]
     warc.write_archives(pages.limit(0), empty := storage.fresh_path(spark, "e"))
     assert storage.read_blobs(spark, empty).count() == 0
+    warc.write_index(spark, empty, nothing := storage.fresh_path(spark, "n"))
+    assert warc.read_captures(spark, empty, nothing, pages.select("url")).count() == 0 and warc.CaptureIndex(spark, nothing).captures(None) == []
     assert warc.surt("http://User@www.B.example:80/p?q#f") == "example,b,www)/p?q"
 
 
