@@ -64,4 +64,57 @@ SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(words.n, 0)::BIGINT AS n_hit,
 FROM d LEFT JOIN words ON words.r = d.r LEFT JOIN items ON items.r = d.r
 """
 
-SQL: dict[str, str] = {"op4_quality_rules": OP4, "op10_decontamination": OP10.replace(' COLLATE "C"', "")}
+#: Turns by order, control strings escaped by one backslash, lengths of the marks of each role.
+OP1 = r"""
+WITH c AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'
+), e AS (
+  SELECT *, length(regexp_replace(text, '([\[<])(\\*)(/?(?:INST|ROLE|TEXT)\]|/?s>|</?SYS>>)', '\1\\\2\3', 'g')) AS n,
+    CASE role WHEN 'user' THEN 15 WHEN 'assistant' THEN 9 WHEN 'system' THEN 17
+      ELSE 23 + length(regexp_replace(role, '([\[<])(\\*)(/?(?:INST|ROLE|TEXT)\]|/?s>|</?SYS>>)', '\1\\\2\3', 'g')) END AS marks
+  FROM c
+), g AS (
+  SELECT conv_id, count(*) AS turns, string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text) AS said,
+    coalesce(string_agg(text, '' ORDER BY turn NULLS FIRST, text) FILTER (WHERE role = 'assistant'), '') AS loss, sum(n + marks) AS chars
+  FROM e GROUP BY conv_id
+)
+SELECT conv_id, turns::BIGINT AS n_turns, sha256(said) AS turns_sha256, length(loss)::BIGINT AS loss_chars, sha256(loss) AS loss_sha256, chars::BIGINT AS formatted_chars
+FROM g
+"""
+
+#: All pairs that share a shingle, exact sizes, and reachability over the links.
+OP2 = r"""
+WITH RECURSIVE d AS (
+  SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), s AS MATERIALIZED (
+  SELECT DISTINCT r, md5(array_to_string(list_slice(w, i, i + 3), ' ')) AS g FROM d, unnest(range(1, greatest(len(w) - 2, 2))) AS u(i) WHERE len(w) > 0
+), n AS MATERIALIZED (
+  SELECT r, count(*) AS n FROM s GROUP BY r
+), i AS (
+  SELECT x.r AS a, y.r AS b, count(*) AS n FROM s x JOIN s y ON x.g = y.g AND x.r < y.r GROUP BY 1, 2
+), l AS MATERIALIZED (
+  SELECT a, b FROM i JOIN n p ON p.r = a JOIN n q ON q.r = b WHERE 100 * i.n >= 85 * (p.n + q.n - i.n)
+), ways AS MATERIALIZED (
+  SELECT a, b FROM l UNION ALL SELECT b, a FROM l
+), reach AS (
+  SELECT r, r AS m FROM d UNION SELECT b, m FROM reach JOIN ways ON a = reach.r
+)
+SELECT o.doc_id, coalesce(any_value(n.n), 0)::BIGINT AS n_shingles, min(t.doc_id) AS component_id
+FROM reach JOIN d o ON o.r = reach.r JOIN d t ON t.r = reach.m LEFT JOIN n ON n.r = o.r GROUP BY o.r, o.doc_id
+"""
+
+#: Five hexadecimal digits of the digest are four characters of base32.
+OP3 = """
+WITH p AS (
+  SELECT page_id, strlen(coalesce(html, '')) AS n, sha1(coalesce(html, '')) AS h FROM pages
+), o AS (
+  SELECT *, min(page_id) OVER (PARTITION BY h) AS owner FROM p
+)
+SELECT page_id, n::BIGINT AS payload_bytes,
+  array_to_string(list_transform(range(32), lambda j: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + ((('0x' || substr(h, (1 + 5 * (j // 4))::INT, 5))::BIGINT >> (15 - 5 * (j % 4))) & 31)::INT, 1)), '') AS payload_digest,
+  CASE WHEN page_id > owner THEN 'revisit' ELSE 'response' END AS record_type, CASE WHEN page_id > owner THEN owner END AS refers_to
+FROM o
+"""
+
+SQL: dict[str, str] = {"op1_chat_format": OP1, "op2_ngram_jaccard": OP2, "op3_warc": OP3, "op4_quality_rules": OP4, "op10_decontamination": OP10.replace(' COLLATE "C"', "")}
