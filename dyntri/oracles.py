@@ -185,8 +185,3 @@ def coin(graph: str, q: float, runs: int, local: bool = False, delta: float | No
     own = "JOIN (SELECT run, u, v, enter_seq AS seq FROM held UNION SELECT run, u, v, exit_seq FROM held WHERE exit_seq IS NOT NULL) USING (run, u, v, seq)" if conditional else ""
     ctes.append(f"w AS (SELECT *, 1 AS num FROM hi {own})")
     return f"{with_(graph, *ctes)} {_summed(local, q**3 if conditional else q**2, runs)}"
-
-
-def capabilities(groups: tuple[str, ...], built: tuple[tuple[str, ...], ...], criteria: dict[str, str]) -> str:
-    rows = ", ".join(f"('{c}', '{g}', '{', '.join(b)}', {str(x == 'y').lower()})" for c, own in criteria.items() for g, b, x in zip(groups, built, own))
-    return f"SELECT * FROM (VALUES {rows}) AS t(criterion, methods, built, supported)"
