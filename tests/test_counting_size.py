@@ -1,5 +1,6 @@
 """Counting meets no more rows than the smaller end of each event or edge brings."""
 
+from dyntri.operators import sampling
 from dyntri.plans import methods
 
 
@@ -41,3 +42,15 @@ def test_segments_stay_with_their_ends(spark):
     assert {(r.u, r.v, r.c) for r in rows} == {(1, 5, 9), (7, 8, 6)}
     for r in rows:
         assert r.seg_a == segment[tuple(sorted((r.u, r.c)))] and r.seg_b == segment[tuple(sorted((r.v, r.c)))]
+
+
+def test_short_sets_go_without_passes_that_take_nothing_away(spark, monkeypatch):
+    events = _stream(spark, [(u, v) for u in range(12) for v in range(u + 1, 12)])
+    rows = lambda: sorted(map(tuple, methods.adaptive_triangles(events, 2, 4, 0.2).residency.collect()), key=str)
+    want = rows()
+    monkeypatch.setattr(sampling, "candidates", lambda *_: 1 / 0)
+    assert rows() == want
+    monkeypatch.undo()
+    monkeypatch.setattr(sampling, "FEW", 0)
+    monkeypatch.setattr(sampling, "CHUNK", 8)
+    assert rows() == want
