@@ -27,9 +27,9 @@ from .components import components
 
 #: Slots of the count sketch that orders columns, and of one row of it while it is summed.
 SLOTS, SLOT_ROW = 1 << 20, 1 << 12
-#: Bits of the filter that picks candidates' texts: 16 per candidate, at most this many.
+#: Bits of the filter that picks candidates' texts: 16 per pair, at most this many.
 FILTER_BITS = 1 << 27
-#: Rounds of one central row per column before the full product of what is left, and rows per posting at which to go on.
+#: Rounds of one central row per column before the full product of what is left.
 HUB_ROUNDS = 4
 
 
@@ -123,8 +123,8 @@ def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Data
     Sets are built anew for the documents that a filter of fixed size lets through; any size of it is right.
     """
     spark = docs.sparkSession
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    bits = 1 << min(FILTER_BITS.bit_length() - 1, max(12, (16 * ids.count()).bit_length()))
+    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b"))
+    bits = 1 << min(FILTER_BITS.bit_length() - 1, max(12, (16 * pairs.count()).bit_length()))
     slot = F.pmod(F.xxhash64("id"), F.lit(bits))
     words = ids.select(slot.alias("slot")).groupBy(F.shiftright("slot", 5).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(slot % 32 as int))")).alias("bits")).toPandas()
     marks = np.zeros(bits // 32, np.uint32)
@@ -158,6 +158,37 @@ def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Data
     return whole.mapInArrow(decide, "a long, b long").distinct()
 
 
+def _open_postings(shared: DataFrame, labels: DataFrame) -> DataFrame:
+    """Postings of the columns that several components hold: comp, and the column's ``rows`` and ``main`` component, which has most of them."""
+    rows = shared.join(labels, shared["rep"] == labels["node"], "left").withColumn("comp", F.coalesce("component", "rep"))
+    held = rows.groupBy("h", "comp").agg(F.count(F.lit(1)).alias("n"))
+    mixed = held.groupBy("h").agg(F.sum("n").alias("rows"), F.max(F.struct("n", "comp"))["comp"].alias("main"), F.count(F.lit(1)).alias("comps")).where("comps > 1")
+    return storage.saved(rows.join(mixed.select("h", "rows", "main"), "h").select("h", "rep", "n", "pos", "first", "comp", "rows", "main"), "open_postings")
+
+
+def _in_proportion(rows: DataFrame) -> bool:
+    """Whether :func:`_cross_product` of these postings looks at few pairs for each of them."""
+    stats = rows.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.when(F.col("comp") != F.col("main"), F.col("rows"))), F.lit(0))).first()
+    return stats[1] <= 64 * (stats[0] + 100_000)
+
+
+def _cross_product(rows: DataFrame, percent: int) -> DataFrame:
+    """(a, b, n_a, n_b, pos_a, pos_b), a < b: the pairs of different components in a column that may link.
+
+    A column's rows outside its main component meet all its rows, so the pairs within a large component are not made.
+    """
+    names = ("rep", "n", "pos", "comp")
+    x = rows.where("comp <> main").select("h", "main", *[F.col(c).alias(f"{c}_x") for c in names])
+    y = rows.select("h", *[F.col(c).alias(f"{c}_y") for c in names])
+    # two rows outside the main component meet twice
+    once = (F.col("comp_y") == F.col("main")) | (F.col("rep_x") < F.col("rep_y"))
+    met = x.join(y, "h").where(once & (F.col("comp_x") != F.col("comp_y")))
+    met = met.where(_may_link(F.col("n_x"), F.col("pos_x"), F.col("n_y"), F.col("pos_y"), percent))
+    low = F.col("rep_x") < F.col("rep_y")
+    sides = [F.when(low, F.col(f"{c}_{p}")).otherwise(F.col(f"{c}_{q}")).alias(name) for p, q, e in (("x", "y", "a"), ("y", "x", "b")) for c, name in (("rep", e), ("n", f"n_{e}"), ("pos", f"pos_{e}"))]
+    return met.select(*sides)
+
+
 def join_components(docs: DataFrame, size: int = 4, percent: int = 85) -> DataFrame:
     """(doc_id, n_shingles, component_id): set size, and the smallest doc_id reachable by links.
 
@@ -181,14 +212,11 @@ def join_components(docs: DataFrame, size: int = 4, percent: int = 85) -> DataFr
     links, labels = None, None
     done = None
     for round_ in range(HUB_ROUNDS):
-        rows = shared if labels is None else shared.join(labels, shared["rep"] == labels["node"], "left").drop("node")
-        rows = rows.withColumn("comp", F.coalesce("component", "rep") if labels is not None else F.col("rep"))
-        if labels is not None:
-            # only columns with several components go on
-            mixed = rows.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("rows")).where("lo <> hi")
-            rows = storage.saved(rows.join(mixed.select("h", "rows"), "h").select("h", "rep", "n", "pos", "first", "comp", "rows"), "open_postings")
-            stats = rows.agg(F.count(F.lit(1)), F.coalesce(F.sum("rows"), F.lit(0))).first()
-            if stats[1] <= 64 * (stats[0] + 100_000):  # the full product of what is left is in proportion to the postings
+        if labels is None:
+            rows = shared.withColumn("comp", F.col("rep"))
+        else:
+            rows = _open_postings(shared, labels)
+            if _in_proportion(rows):
                 break
         if labels is None:
             lead = rows.where("pos = first").groupBy("h").agg(F.min(F.struct("rep", "n", "pos", "comp")).alias("hub"))
@@ -203,15 +231,12 @@ def join_components(docs: DataFrame, size: int = 4, percent: int = 85) -> DataFr
         links = new if links is None else links.union(new)
         labels = components(links)
     else:
-        rows = shared.join(labels, shared["rep"] == labels["node"], "left").withColumn("comp", F.coalesce("component", "rep"))
+        rows = _open_postings(shared, labels)
 
-    x = rows.select("h", *[F.col(c).alias(f"{c}_x") for c in ("rep", "n", "pos", "comp")])
-    y = rows.select("h", *[F.col(c).alias(f"{c}_y") for c in ("rep", "n", "pos", "comp")])
-    met = x.join(y, "h").where((F.col("rep_x") < F.col("rep_y")) & (F.col("comp_x") != F.col("comp_y")))
-    met = met.where(_may_link(F.col("n_x"), F.col("pos_x"), F.col("n_y"), F.col("pos_y"), percent))
-    counts = met.groupBy(F.col("rep_x").alias("a"), F.col("rep_y").alias("b"), "n_x", "n_y").agg(F.count(F.lit(1)).alias("overlap"), F.max("pos_x").alias("last_x"), F.max("pos_y").alias("last_y"))
-    room = F.col("overlap") + F.least(F.col("n_x") - 1 - F.col("last_x"), F.col("n_y") - 1 - F.col("last_y"))
-    left = counts.where(room >= _needed(F.col("n_x"), F.col("n_y"), percent)).select("a", "b").distinct()
+    met = _cross_product(rows, percent)
+    counts = met.groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("overlap"), F.max("pos_a").alias("last_a"), F.max("pos_b").alias("last_b"))
+    room = F.col("overlap") + F.least(F.col("n_a") - 1 - F.col("last_a"), F.col("n_b") - 1 - F.col("last_b"))
+    left = counts.where(room >= _needed(F.col("n_a"), F.col("n_b"), percent)).select("a", "b")
     left = storage.saved(left.join(done, ["a", "b"], "left_anti"), "cross_pairs")
     links = links.union(storage.saved(verified(left, docs, size, percent), "cross_links"))
     labels = components(links)
