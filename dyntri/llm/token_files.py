@@ -215,52 +215,97 @@ class WordTokenizer:
 
     The file's tokenizer drops white space and never joins across it, so a text's ids are those of its
     space-separated words in turn. Words are found by 64-bit hashes of their bytes, many texts at a time; a new word
-    goes to the library's model once. Plain Latin words are cut into the pieces of the file's own pattern here; any
-    other word takes the whole pipeline.
+    goes to the library once. Plain Latin words are lower-cased and cut as the file's own pattern does, many at a time,
+    and their pieces go to the file's model in one call; any other word takes the whole pipeline.
     """
 
     #: Words kept; beyond it the less used ones go, so a worker's memory stays at some 20 MB (two words of it meet in one hash with odds of 1e-9).
     KEPT = 120_000
+    #: Endings that the file's pattern cuts off behind a word (a fixed value), and the kinds of characters that it tells apart.
+    ENDINGS = ("s", "t", "re", "ve", "m", "ll", "d")
+    LETTER, NUMBER, OTHER = 1, 2, 3
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         import regex
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.model = self.tokenizer.model
-        # the file's own pre-tokenizer pattern (a fixed value)
-        self.cut = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
-        # byte-level alphabet: printable Latin-1 stands for itself, the other bytes for code points from 256 on
+        self.model = Tokenizer(self.tokenizer.model)
+        self.model.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+        # the last id of a piece is one whose entry has the suffix, no other is
+        suffix = self.tokenizer.model.end_of_word_suffix
+        self.last = np.zeros(self.tokenizer.get_vocab_size() + 1, bool)
+        self.last[[i for t, i in self.tokenizer.get_vocab(False).items() if suffix and t.endswith(suffix)]] = True
+        # byte-level alphabet: printable Latin-1 stands for itself, the other bytes for code points from 256 on; a space parts pieces
         plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
         rest = iter(range(256, 512))
-        self.letters = {b: chr(b) if b in plain else chr(next(rest)) for b in range(256)}
+        self.letters = np.array([b if b in plain else next(rest) for b in range(256)], "<u2")
+        self.letters[32] = 32
         self.special = any(t.special for t in self.tokenizer.get_added_tokens_decoder().values())
-        self.pieces: dict[str, bytes] = {}
+        # kinds by code point, as far as plain words and their lower case go
+        kinds = (("\\p{L}", self.LETTER), ("\\p{N}", self.NUMBER), ("[^\\s\\p{L}\\p{N}]", self.OTHER))
+        self.kinds = np.zeros(0x2C80, np.uint8)
+        for pattern, kind in kinds:
+            self.kinds[[ord(c) for c in regex.findall(pattern, "".join(map(chr, range(len(self.kinds)))))]] = kind
         self._start()
         self.table = arrow_text.word_table()
         self.codes = arrow_text.byte_codes(self.table, lower=False)
 
-    def _piece(self, piece: str) -> bytes:
-        got = self.pieces.get(piece)
-        if got is None:
-            if len(self.pieces) > self.KEPT // 4:
-                self.pieces.clear()
-            text = piece if piece.isascii() else "".join([self.letters[b] for b in piece.encode()])
-            got = self.pieces[piece] = array("I", [t.id for t in self.model.tokenize(text)]).tobytes()
-        return got
+    def _plain(self, text: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """Which words, each with a space behind it, are of printable characters below U+0250 that change one by one into lower case."""
+        after = np.append(text[1:], np.uint8(32))
+        odd = (text < 32) | (text == 127) | (text > 0xC9)
+        for lead, wrong in ((0xC2, (after < 0xA1) | (after == 0xAD)), (0xC4, after == 0xB0), (0xC9, after > 0x8F)):
+            odd |= (text == lead) & wrong
+        if self.special:
+            odd |= (text == ord("<")) & (after == ord("|"))
+        return ~np.logical_or.reduceat(odd, starts)
+
+    def _plain_ids(self, text: bytes) -> tuple[np.ndarray, np.ndarray] | None:
+        """(ids, how many of each word) of plain words, each with a space behind it; None if the model's ids don't tell pieces apart."""
+        lower = text.decode().lower()
+        data, points = np.frombuffer(lower.encode(), np.uint8), np.frombuffer((lower + "  ").encode("utf-32-le"), np.uint32)
+        kind = self.kinds[points]
+        before = np.append(np.uint8(0), kind[:-1])
+        begins = (kind > 0) & ((kind != before) | (kind == self.NUMBER))
+        marks = np.flatnonzero((points == ord("'")) & (before != self.OTHER))
+        for ending in self.ENDINGS:
+            at = marks
+            for k, c in enumerate(ending):
+                at = at[points[at + 1 + k] == ord(c)]
+            begins[at + 1] = False
+            begins[at + 1 + len(ending)] = kind[at + 1 + len(ending)] > 0
+        begins, kind = begins[:-2], kind[:-2]
+        pieces = np.diff(np.append(0, np.cumsum(begins)[kind == 0]))
+        inside = begins & (np.append(np.uint8(0), kind[:-1]) > 0)
+        spaced = np.insert(data, np.flatnonzero((data & 0xC0) != 0x80)[inside], 32)
+        encoded = self.model.encode_batch_fast([self.letters[spaced].tobytes().decode("utf-16-le")], add_special_tokens=False)
+        ids = np.array(encoded[0].ids, np.uint32)
+        ends = np.flatnonzero(self.last[ids]) + 1
+        if len(ends) != pieces.sum() or ends[-1] != len(ids):
+            return None
+        return ids, np.diff(np.append(0, ends[np.cumsum(pieces) - 1]))
 
     def word(self, word: bytes) -> bytes:
-        """The ids of a text without white space, 4 bytes each."""
-        text = word.decode()
-        if max(text) < "ɐ" and text.isprintable() and "İ" not in text and "\xa0" not in text and not (self.special and "<|" in text):
-            text = text.lower()
-            if text.isalpha():
-                return self._piece(text)
-            if text[-1] in ".,;:!?" and text[:-1].isalpha():
-                return self._piece(text[:-1]) + self._piece(text[-1])
-            return b"".join(map(self._piece, self.cut(text)))
-        return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+        """The ids of a text without white space, 4 bytes each, by the whole pipeline."""
+        return array("I", self.tokenizer.encode(word.decode(), add_special_tokens=False).ids).tobytes()
+
+    def words(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(places of the words in the order that the rest has them, ids, how many of each word) of words between these places of data."""
+        sizes = ends - starts
+        first = np.cumsum(sizes + 1) - sizes - 1
+        text = np.full(int(sizes.sum()) + len(sizes), 32, np.uint8)
+        text[np.arange(len(text) - len(sizes)) + np.repeat(np.arange(len(sizes)), sizes)] = data[np.arange(len(text) - len(sizes)) + np.repeat(starts - first + np.arange(len(sizes)), sizes)]
+        plain = self._plain(text, first)
+        if plain.any() and (got := self._plain_ids(text[np.repeat(plain, sizes + 1)].tobytes())):
+            ids, counts = got
+        else:
+            plain, ids, counts = np.zeros(len(sizes), bool), np.zeros(0, np.uint32), np.zeros(0, np.int64)
+        other, raw = np.flatnonzero(~plain), text.tobytes()
+        rest = [self.word(raw[a : a + n]) for a, n in zip(first[other].tolist(), sizes[other].tolist())]
+        counts = np.append(counts, np.fromiter(map(len, rest), np.int64, len(rest)) // 4)
+        return np.append(np.flatnonzero(plain), other), np.append(ids, np.frombuffer(b"".join(rest), np.uint32)), counts
 
     def _start(self) -> None:
         self.index = arrow_text.HashIndex(self.KEPT)
@@ -284,12 +329,11 @@ class WordTokenizer:
 
     def _learn(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray, hashes: np.ndarray) -> None:
         new, first = np.unique(hashes, return_index=True)
-        text = data.tobytes()
-        got = [self.word(text[a:b]) for a, b in zip(starts[first].tolist(), ends[first].tolist())]
-        self.index.add(new, len(self.sizes) + np.arange(len(new)))
-        self.hashes.extend(new)
-        self.sizes.extend(np.fromiter(map(len, got), np.int64, len(got)) // 4)
-        self.flat.extend(np.frombuffer(b"".join(got), np.uint32))
+        place, ids, counts = self.words(data, starts[first], ends[first])
+        self.index.add(new[place], len(self.sizes) + np.arange(len(new)))
+        self.hashes.extend(new[place])
+        self.sizes.extend(counts)
+        self.flat.extend(ids)
 
     def ids(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(ids, how many of each row) for rows of bytes; a very long row is taken in stretches."""
