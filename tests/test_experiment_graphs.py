@@ -4,6 +4,7 @@ import pytest
 
 from dyntri import queries
 from dyntri.plans import workloads
+from dyntri.sources import graphs
 
 DATA = "/root/testdata/sf0.001"
 EDGES = {"customer_overlap": 997, "trade_triads": 8731, "part_copurchase": 8899, "page_links": 607, "supplier_cosupply": 45, "user_handoff": 105}
@@ -25,6 +26,7 @@ def _seen(spark, monkeypatch, name, function):
 
 @pytest.mark.parametrize("name, function, names", [
     ("w1_accuracy", "accuracy", {"customer_overlap", "trade_triads", "part_copurchase"}),
+    ("w4_dynamic_accuracy", "dynamic_accuracy", set(graphs.GRAPHS)),
 ])
 def test_all_graphs_are_measured(spark, monkeypatch, name, function, names):
     assert _seen(spark, monkeypatch, name, function) == names
