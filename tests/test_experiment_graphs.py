@@ -27,6 +27,7 @@ def _seen(spark, monkeypatch, name, function):
 @pytest.mark.parametrize("name, function, names", [
     ("w1_accuracy", "accuracy", {"customer_overlap", "trade_triads", "part_copurchase"}),
     ("w4_dynamic_accuracy", "dynamic_accuracy", set(graphs.GRAPHS)),
+    ("w6_shards", "shard_sweep", {"customer_overlap", "trade_triads"}),
 ])
 def test_all_graphs_are_measured(spark, monkeypatch, name, function, names):
     assert _seen(spark, monkeypatch, name, function) == names
