@@ -69,3 +69,21 @@ def test_no_cell_joins_wedges(events, monkeypatch):
     monkeypatch.setattr(workloads.methods.counting, "closing_hits", None)
     rows = workloads.accuracy(events, "small", shares=(0.1,), n_shards=3, runs=2).collect()
     assert {r.method for r in rows} == {"adaptive", "sharded", "solo_reservoir", "solo_coin"}
+
+
+def test_long_groups_as_arrays(monkeypatch):
+    import random
+
+    import pyarrow as pa
+
+    draw = random.Random(3)
+    rows = [(g, i, draw.randrange(10**6)) for g in range(6) for i in range(draw.randrange(150, 700))]
+    whole = pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows)], ["shard", "seq", "key"])
+    for k in (2, 30, 1000):
+        for ends in (True, False):
+            got = []
+            for least in (1, 10**9):
+                monkeypatch.setattr(sampling, "LEAST_ROWS", least)
+                batches = (whole.slice(i, 500) for i in range(0, len(whole), 500))
+                got.append(sorted((tuple(r.values()) for b in sampling._reservoirs(batches, k, 1, ends) for r in b.to_pylist()), key=str))
+            assert got[0] == got[1] and got[0]
